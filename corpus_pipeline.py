@@ -2,17 +2,45 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from dyngraph.llm import quality
+from dyngraph.llm import bpe, mixing, neardup, quality, secretscan
 from dyngraph.llm.common import table, written
 
 
 def good_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality rules reject go."""
     return quality.keep_good(docs, table(spark, sf_dir, "labels"))
 
 
-STAGES = [("quality rules", good_documents)]
+def single_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near duplicates stays (five words, similarity 0.8)."""
+    return neardup.keep_one(docs)
+
+
+def clean_of_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Secrets are masked in the text; every document stays."""
+    return secretscan.redact(docs, secretscan.models(docs, table(spark, sf_dir, "labels")))
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents are taken as often as the fitted rates say; what the classifier holds to be toxic goes."""
+    return mixing.mix(docs, table(spark, sf_dir, "labels"))
+
+
+def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of every document that is left."""
+    return bpe.encode(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"), public_tokenizers.PATTERN)
+
+
+STAGES = [
+    ("quality rules", good_documents),
+    ("MinHash near-dedup", single_documents),
+    ("secret scans", clean_of_secrets),
+    ("mixing sources to target weights", mixed),
+    ("byte-level BPE encoding and decoding", encoded),
+]
 
 #: The scores need a 64-bit hash that SQL lacks; tests hold the stages against brute force.
 ORACLE_SQL = None
