@@ -1,8 +1,9 @@
 """Registered queries of the methods and of the operators around them, each with DuckDB SQL where SQL has it."""
 
-from . import structure
+from . import partitions, structure
 from .registry import ORACLES, QUERIES
 
+__modules__ = (partitions, structure)
 flagship = structure.flagship
 
 __all__ = ["ORACLES", "QUERIES", "flagship"]
