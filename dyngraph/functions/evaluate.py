@@ -53,7 +53,7 @@ def global_precision(scores: DataFrame, bins: int = 256) -> DataFrame:
     counts before it to its own running sums.
     """
     cuts = scores.agg(F.percentile_approx("score", F.lit([i / bins for i in range(1, bins)]), 10_000).alias("c")).select(F.array_sort(F.array_distinct("c")).alias("c")).scalar()
-    binned = scores.withColumn("bin", F.size(F.filter(cuts, lambda c: c > F.col("score"))))
+    binned = scores.withColumn("cuts", cuts).withColumn("bin", F.size(F.filter("cuts", lambda c: c > F.col("score")))).drop("cuts")
     counts = binned.groupBy("bin").agg(F.count(F.lit(1)).alias("n"), F.sum("y").alias("h"))
     before = Window.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)  # one row a bin
     base = counts.select("bin", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("n0"), F.coalesce(F.sum("h").over(before), F.lit(0)).alias("h0"))

@@ -187,6 +187,18 @@ def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model
     return rows(len(nodes), loss, m)
 
 
+def _stepper(held, ring: bool, s: Settings) -> Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame]:
+    """The function of one round: models come from the broadcast ``held``."""
+
+    def work(nodes: pd.DataFrame, pairs: pd.DataFrame) -> pd.DataFrame:
+        m, anchor, own = held.value
+        if ring and own and len(nodes):
+            m = own[int(nodes["part"].iloc[0]) % len(own)]
+        return local_step(nodes, pairs, m, anchor, s)
+
+    return work
+
+
 def _unpack(rows: list, shapes: dict[str, tuple]) -> tuple[list[Model], list[float], list[float]]:
     by: dict[int, Model] = {}
     weight, loss = {}, {}
@@ -238,13 +250,7 @@ def fit(edges: DataFrame, t: int, feats: DataFrame, labels: DataFrame | None, as
         held = spark.sparkContext.broadcast((m, anchor, locals_))
         ring = s.averaging == "ring"
 
-        def work(a: pd.DataFrame, b: pd.DataFrame, held=held, ring=ring) -> pd.DataFrame:
-            mm, anc, own = held.value
-            if ring and own and len(a):
-                mm = own[int(a["part"].iloc[0]) % len(own)]
-            return local_step(a, b, mm, anc, s)
-
-        rows = n.groupBy("part").cogroup(pairs.groupBy("part")).applyInPandas(work, "part int, weight double, loss double, name string, data array<double>").collect()  # client models only
+        rows = n.groupBy("part").cogroup(pairs.groupBy("part")).applyInPandas(_stepper(held, ring, s), "part int, weight double, loss double, name string, data array<double>").collect()  # client models only
         models, weights, losses = _unpack(rows, shapes)
         if not models:
             break
