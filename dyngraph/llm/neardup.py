@@ -3,14 +3,15 @@
 A document's set holds its distinct k-word shingles as 64-bit hashes. Documents with equal sets form one class, and
 only one row of each class goes on. Two small collections of ``side`` groups of ``rows`` minhashes are computed;
 table (i, j) is keyed by group i of the first collection combined with group j of the second, so side**2 tables of
-2*rows hashes each cost only 2*side*rows minhashes. Classes that meet in a table are candidates, and
-a link is made only where the full sets have Jaccard similarity ``percent``/100 or more.
+2*rows hashes each cost only 2*side*rows minhashes. Classes that meet in a table are candidates, and a link is made
+only where the full sets have Jaccard similarity ``percent``/100 or more.
 
-Candidates are never expanded to all pairs of a table entry at once. Each entry compares its members with one
-centre; links merge components; entries whose members are all in one component are done. Entries with several
-components choose another centre, and after ``rounds`` of that, or when few pairs are left, the pairs that still
-cross components are all compared. A link that joins two components is thus missed only where both ends share no
-table entry: at similarity 0.8 with the default sizes about 7 in 100,000 pairs, at 0.9 none in 10**9.
+Candidates are not expanded to all pairs of a table entry. In entries of up to ``few`` classes all are compared; in
+larger ones each is compared with the entry's most central member, the one with the fullest entries, if it shares
+``SHARED`` tables with it. Links join components. Where an entry then still holds several components, the members outside its largest one are compared
+exactly, in blocks within one task each, with everything that shares a group of the first collection; a task
+returns one link for a member and a component at most. So a link that joins two components is missed only where both
+ends share no table: at similarity 0.8 with the default sizes about 7 in 100,000 pairs, at 0.9 none in 10**9.
 
 Results for odd input: null or empty text has an empty set and is linked with nothing; a row without doc_id is its
 own document (component_id null, kept true); rows that repeat a doc_id are one document; with fewer words than a
@@ -33,7 +34,11 @@ SHINGLE = 5
 PERCENT = 80
 SIDE = 10
 ROWS = 2
-ROUNDS = 5
+FEW = 4
+#: Members outside their entry's largest component, and others, that one task compares at a time.
+BLOCK_LEFT, BLOCK_ALL = 256, 2048
+#: Tables that a member must share with a centre to be compared with it at once; others wait for the exact comparison.
+SHARED = 6
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _BLOCK = 4096
 
@@ -150,64 +155,109 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) whose full sets are similar enough."""
     both = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y")), "b")
     common = both.select("a", "b", F.size("x").alias("m"), F.size("y").alias("n"), F.size(F.array_intersect("x", "y")).alias("c"))
-    return common.filter(F.lit(100).cast("long") * F.col("c") >= percent * (F.col("m") + F.col("n") - F.col("c"))).select("a", "b")
+    return common.filter(F.lit(100).cast("long") * F.col("c") >= percent * (F.col("m") + F.col("n") - F.col("c"))).select("a", "b").distinct()
 
 
 def _fits(percent: int, m: str = "m", n: str = "n") -> str:
     return f"100 * least({m}, {n}) >= {percent} * greatest({m}, {n})"
 
 
-def classes(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT, side: int = SIDE, rows: int = ROWS, rounds: int = ROUNDS) -> DataFrame:
+def _sets_of(docs: DataFrame, ids: DataFrame, shingle: int) -> DataFrame:
+    """The full sets of some documents, computed anew from their text, written once."""
+    return written(full_sets(docs.filter("doc_id is not null").select("doc_id", "text").join(ids.distinct(), "doc_id", "left_semi"), shingle), "sets")
+
+
+def block_links(left: pa.Table, every: pa.Table, percent: int) -> pa.Table:
+    """Links (a, b) between rows of ``left`` and of ``every`` (g, rep, comp, shingles) of one g and different components.
+
+    The shingles of ``left``, keyed with g, are one sorted list of postings that each other row looks its own up in.
+    """
+    out: dict[tuple[int, int], int] = {}
+    if left.num_rows and every.num_rows:
+        sides = []
+        for t in (left, every):
+            t = t.combine_chunks()
+            lists = t.column("shingles").chunk(0)
+            bounds = lists.offsets.to_numpy()
+            salt = _mixed(t.column("g").to_numpy().view(np.uint64).copy())
+            flat = lists.values.to_numpy()[bounds[0] : bounds[-1]].view(np.uint64) ^ np.repeat(salt, np.diff(bounds))
+            sides.append((flat, bounds - bounds[0], t.column("rep").to_numpy(), t.column("comp").to_numpy()))
+        (flat, bounds, reps, comps), (keys, ends, others, theirs) = sides
+        sizes = np.diff(bounds)
+        order = np.argsort(flat, kind="stable")
+        flat, owner = flat[order], np.repeat(np.arange(len(sizes)), sizes)[order]
+        for j in range(len(others)):
+            k = keys[ends[j] : ends[j + 1]]
+            lo = np.searchsorted(flat, k, "left")
+            n = np.searchsorted(flat, k, "right") - lo
+            hits = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(int(n.sum()))
+            common = np.bincount(owner[hits], minlength=len(sizes))
+            for i in np.flatnonzero((100 * common >= percent * (sizes + len(k) - common)) & (comps != theirs[j])):
+                out.setdefault((int(reps[i]), int(theirs[j])), int(others[j]))
+    a, b = [min(r, o) for (r, _), o in out.items()], [max(r, o) for (r, _), o in out.items()]
+    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
+
+
+def _left_over(docs: DataFrame, reps: DataFrame, entries: DataFrame, part: DataFrame, shingle: int, percent: int, few: int) -> DataFrame | None:
+    """Links of members that the first comparison left outside their entry's largest component; exact, in blocks."""
+    named = part.select(F.col("node").alias("rep"), "component")
+    live = entries.filter(F.col("size") > few).select("key", "rep").join(named, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    counts = live.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
+    mixed = counts.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max_by("component", F.struct("n", -F.col("component"))).alias("most")).filter("parts > 1")
+    left = written(live.join(mixed.select("key", "most"), "key").filter("component <> most").select("rep").distinct(), "left")
+    if left.isEmpty():
+        return None
+    groups = reps.select("rep", "n", F.explode(F.transform("one", lambda x, i: F.xxhash64(x, i))).alias("g"))
+    groups = groups.join(named, "rep", "left").withColumn("comp", F.coalesce("component", "rep")).select("g", "rep", "n", "comp")
+    some = groups.join(left, "rep", "left_semi")
+    sizes = groups.join(some.groupBy("g").agg(F.count(F.lit(1)).alias("n_left")), "g").groupBy("g").agg(
+        F.first("n_left").alias("n_left"), F.count(F.lit(1)).alias("n_all"), F.min("comp").alias("lo"), F.max("comp").alias("hi")
+    )
+    sizes = written(sizes.filter("lo <> hi").select("g", F.ceil(F.col("n_left") / BLOCK_LEFT).cast("int").alias("bl"), F.ceil(F.col("n_all") / BLOCK_ALL).cast("int").alias("ba")), "groups")
+    block = lambda n, seed: F.pmod(F.xxhash64("rep", F.lit(seed)), F.col(n)).cast("int")
+    other = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    ours = written(some.join(sizes, "g").select("g", "rep", "comp", block("bl", 1).alias("i"), other("ba").alias("j")), "ours")
+    theirs = written(groups.join(sizes, "g").select("g", "rep", "comp", block("ba", 2).alias("j"), other("bl").alias("i")), "theirs")
+    sets = _sets_of(docs, theirs.select(F.col("rep").alias("doc_id")), shingle).select(F.col("doc_id").alias("rep"), "shingles")
+    task = F.pmod(F.xxhash64("g"), F.lit(1024)).cast("int").alias("task")  # small groups share a task
+    shape = [task, "i", "j", "g", "rep", "comp", "shingles"]
+
+    def compare(a: pa.Table, b: pa.Table) -> pa.Table:
+        return block_links(a, b, percent)
+
+    names = ["task", "i", "j", "g", "rep", "comp", "shingles"]
+    one, two = (x.join(sets, "rep").select(*shape).toDF(*names) for x in (ours, theirs))
+    return one.groupBy("task", "i", "j").cogroup(two.groupBy("task", "i", "j")).applyInArrow(compare, "a long, b long")
+
+
+def classes(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT, side: int = SIDE, rows: int = ROWS, few: int = FEW) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_shingles, component_id (smallest doc_id reachable) and kept."""
     signed = written(signatures(docs, shingle, side, rows), "signatures")
     some = signed.filter("n_shingles > 0 and doc_id is not null")
     reps = written(some.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("one").alias("one"), F.first("two").alias("two")), "classes")
     table = F.flatten(F.transform("one", lambda x, i: F.transform("two", lambda y, j: F.xxhash64(x, y, i, j))))
-    keyed = reps.select("rep", "n", F.explode(table).alias("key"))
-    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size")).filter("size > 1").select("key")
+    keyed = reps.select("rep", F.explode(table).alias("key"))
+    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
     entries = written(keyed.join(shared, "key"), "entries")
-    involved = entries.select(F.col("rep").alias("doc_id")).distinct()
-    sets = written(full_sets(docs.filter("doc_id is not null").select("doc_id", "text").join(involved, "doc_id", "left_semi"), shingle).dropDuplicates(["doc_id"]), "sets")
-
-    part = None  # rep, component
-    tried = None
-    for r in range(rounds + 1):
-        if part is None:
-            live = entries.withColumn("component", F.col("rep"))
-        else:
-            live = entries.join(part.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-        if r:
-            mixed = live.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi and size > 2")
-            entries = written(live.join(mixed.select("key", "size"), "key"), "entries")
-            live = entries
-            entries = entries.drop("component", "size")
-            left = live.agg(F.count(F.lit(1)).alias("rows"), F.sum("size").alias("pairs")).first()
-            if not left["rows"]:
-                break
-            last = r == rounds or left["pairs"] <= 32 * left["rows"]
-        else:
-            last = False
-        m = live.select("key", F.col("rep").alias("a"), F.col("n").alias("m"), F.col("component").alias("ca"))
-        n = live.select("key", F.col("rep").alias("b"), F.col("n").alias("n"), F.col("component").alias("cb"))
-        if not last:  # one centre an entry, another one each round
-            m = m.groupBy("key").agg(F.min_by(F.struct("a", "m", "ca"), F.xxhash64("a", F.lit(r)) if r else F.col("a")).alias("c")).select("key", "c.*")
-        pairs = m.join(n, "key").filter(("ca < cb" if last else "ca <> cb") + " and " + _fits(percent))
-        pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = written(pairs, "pairs")
-        tried = pairs if tried is None else tried.unionAll(pairs)
-        fresh = written(_verified(pairs, sets, percent), "links")
-        if part is None:
-            part = components(fresh)
-        else:
-            named = lambda e, c: e.join(part.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")), c, "left").withColumn(c, F.coalesce(f"c{c}", c)).drop(f"c{c}")
-            merged = components(named(named(fresh, "a"), "b"))
-            grown = part.join(merged.select(F.col("node").alias("component"), F.col("component").alias("into")), "component", "left").select("node", F.coalesce("into", "component").alias("component"))
-            new = merged.join(part, "node", "left_anti").select("node", "component")
-            part = written(grown.unionAll(new), "components")
-        if last:
-            break
+    weight = entries.groupBy("rep").agg(F.sum("size").alias("weight"))
+    large = entries.filter(F.col("size") > few)
+    centres = large.join(weight, "rep").groupBy("key").agg(F.max_by("rep", F.struct("weight", -F.col("rep"))).alias("a"))
+    small = entries.filter(F.col("size") <= few)
+    pairs = large.join(centres, "key").groupBy("a", F.col("rep").alias("b")).agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED).select("a", "b").unionAll(
+        small.select("key", F.col("rep").alias("a")).join(small.select("key", F.col("rep").alias("b")), "key").filter("a < b").select("a", "b")
+    )
+    pairs = pairs.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    length = reps.select("rep", "n")
+    pairs = pairs.join(length.select(F.col("rep").alias("a"), F.col("n").alias("m")), "a").join(length.select(F.col("rep").alias("b"), "n"), "b").filter(_fits(percent)).select("a", "b")
+    pairs = written(pairs, "pairs")
+    sets = _sets_of(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")), shingle)
+    part = components(_verified(pairs, sets, percent))
+    more = _left_over(docs, reps, entries, part, shingle, percent, few)
+    if more is not None:
+        named = lambda e, c: e.join(part.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")), c, "left").withColumn(c, F.coalesce(f"c{c}", c)).drop(f"c{c}")
+        merged = components(named(named(more, "a"), "b"))
+        grown = part.join(merged.select(F.col("node").alias("component"), F.col("component").alias("into")), "component", "left").select("node", F.coalesce("into", "component").alias("component"))
+        part = written(grown.unionAll(merged.join(part, "node", "left_anti").select("node", "component")), "components")
     roots = reps.select("set_key", "rep").join(part.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("root"))
     out = signed.join(roots, "set_key", "left")
     out = out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
