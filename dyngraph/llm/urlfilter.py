@@ -105,7 +105,8 @@ def features(model: Model, cut: callable, host: str, path: str) -> list[str]:
 def fit(pages: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED, max_words: int = MAX_WORDS) -> Model:
     """Both models from bounded samples; at most ``max_fitted`` urls and ``max_words`` counts reach the driver."""
     order = [F.xxhash64("page_id"), "page_id"]
-    sample = pages.select("page_id", "html").orderBy(*order).limit(max_fitted)
+    chosen = pages.select("page_id").filter("page_id is not null").distinct().orderBy(*order).limit(max_fitted)  # ids only are sorted
+    sample = pages.select("page_id", "html").join(F.broadcast(chosen), "page_id", "left_semi")
     text = F.lower(F.regexp_replace(F.coalesce("html", F.lit("")), r"(?s)<(script|style)\b.*?</\1>|<[^>]*>|&\w+;", " "))
     words = sample.select(F.explode(F.regexp_extract_all(text, F.lit(r"\p{L}{1,%d}" % LONGEST_WORD), F.lit(0))).alias("w"))
     counts = {r["w"]: r["n"] for r in words.groupBy("w").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "w").limit(max_words).collect()}
