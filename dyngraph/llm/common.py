@@ -63,6 +63,15 @@ def written(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def settled(condition: Column) -> Column:
+    """The same truth value, but computed where it stands.
+
+    A filter on a plain column is pushed below the projections that make it, and their array expressions would be
+    evaluated anew within each lambda that refers to them; a non-deterministic column stops that.
+    """
+    return condition & (F.monotonically_increasing_id() >= 0)
+
+
 def words(text: Column) -> Column:
     """Array of the maximal runs without white space; empty for null."""
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), SPACE), "")

@@ -19,7 +19,7 @@ import math
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import words, written
+from .common import settled, words, written
 
 #: Domains in the order of the posteriors: quality * 2 + toxic.
 DOMAINS = ("poor", "poor_toxic", "good", "good_toxic")
@@ -174,5 +174,6 @@ def mix(docs: DataFrame, labels: DataFrame, target: tuple[float, ...] = TARGET,
     model = written(classifier(docs, labels), "classifier")
     narrow = written(posteriors(docs, F.struct("doc_id"), model).select("row.doc_id", "n_tokens", "p"), "posteriors")
     rate, _ = fit(narrow, target, steps)
-    whole = posteriors(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]), model).withColumn("copies", copies(rate, F.col("row.doc_id")))
+    whole = posteriors(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]), model).select("row", copies(rate, F.col("row.doc_id")).alias("copies"))
+    whole = whole.select("row", F.when(settled(F.lit(True)), F.col("copies")).otherwise(0).alias("copies"))
     return whole.select(F.explode(F.array_repeat("row", F.col("copies"))).alias("row")).select("row.*")

@@ -15,7 +15,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import words
+from .common import settled, words
 
 BUCKETS = 1 << 14
 #: Trusted documents used at most; the bound lets their ids be broadcast (8 bytes each).
@@ -123,4 +123,5 @@ def judge(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, threshold:
 def keep_good(docs: DataFrame, labels: DataFrame, buckets: int = BUCKETS, threshold: float = THRESHOLD, max_trusted: int = MAX_TRUSTED) -> DataFrame:
     """The rows of ``docs`` that ``judge`` keeps, with all their columns; each verdict stays beside its row, so nothing is joined."""
     whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns])
-    return _judged(docs, whole, labels, buckets, threshold, max_trusted).filter("kept").select("row.*")
+    judged = _judged(docs, whole, labels, buckets, threshold, max_trusted)
+    return judged.select("row", settled(F.col("kept")).alias("kept")).filter("kept").select("row.*")
