@@ -6,6 +6,9 @@ table (i, j) is keyed by group i of the first collection combined with group j o
 2*rows hashes each cost only 2*side*rows minhashes. Classes that meet in a table are candidates, and a link is made
 only where the full sets have Jaccard similarity ``percent``/100 or more.
 
+Two classes meet in table (i, j) only where they share both groups, so groups that one class alone has are dropped
+first and tables are keyed by pairs of what is left: the same candidates from a fraction of the rows.
+
 Candidates are not expanded to all pairs of a table entry. In entries of up to ``few`` classes all are compared; in
 larger ones each is compared with the entry's most central member, the one with the fullest entries, if it shares
 ``SHARED`` tables with it. Links join components. Where an entry then still holds several components, the members outside its largest one are compared
@@ -39,6 +42,8 @@ FEW = 4
 BLOCK_LEFT, BLOCK_ALL = 256, 2048
 #: Tables that a member must share with a centre to be compared with it at once; others wait for the exact comparison.
 SHARED = 6
+#: Ids that may be broadcast when full sets are computed anew (about 60 MB); with more, the texts are shuffled.
+BROADCAST_IDS = 1_000_000
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 _BLOCK = 4096
 
@@ -164,7 +169,22 @@ def _fits(percent: int, m: str = "m", n: str = "n") -> str:
 
 def _sets_of(docs: DataFrame, ids: DataFrame, shingle: int) -> DataFrame:
     """The full sets of some documents, computed anew from their text, written once."""
-    return written(full_sets(docs.filter("doc_id is not null").select("doc_id", "text").join(ids.distinct(), "doc_id", "left_semi"), shingle), "sets")
+    ids = written(ids.distinct(), "ids")
+    few = ids.limit(BROADCAST_IDS + 1).count() <= BROADCAST_IDS
+    some = docs.filter("doc_id is not null").select("doc_id", "text").join(F.broadcast(ids) if few else ids, "doc_id", "left_semi")
+    return written(full_sets(some, shingle), "sets")
+
+
+def _table_keys(reps: DataFrame) -> DataFrame:
+    """rep and key of every table entry that another class may share, from the groups that several classes have."""
+    named = lambda c, s: F.transform(c, lambda x, i: F.struct(F.lit(s).alias("side"), i.alias("i"), x.alias("x")))
+    groups = reps.select("rep", F.inline(F.concat(named("one", 0), named("two", 1))))
+    shared = groups.groupBy("side", "i", "x").agg(F.count(F.lit(1)).alias("size")).filter("size > 1").drop("size")
+    met = groups.join(shared, ["side", "i", "x"])
+    of = lambda s: F.collect_list(F.when(F.col("side") == s, F.struct("i", "x")))  # noqa: E731  at most ``side`` entries
+    both = met.groupBy("rep").agg(of(0).alias("one"), of(1).alias("two"))
+    keys = F.flatten(F.transform("one", lambda a: F.transform("two", lambda b: F.xxhash64(a["x"], b["x"], a["i"], b["i"]))))
+    return both.select("rep", F.explode(keys).alias("key"))
 
 
 def block_links(left: pa.Table, every: pa.Table, percent: int) -> pa.Table:
@@ -213,13 +233,14 @@ def _left_over(docs: DataFrame, reps: DataFrame, entries: DataFrame, part: DataF
     sizes = groups.join(some.groupBy("g").agg(F.count(F.lit(1)).alias("n_left")), "g").groupBy("g").agg(
         F.first("n_left").alias("n_left"), F.count(F.lit(1)).alias("n_all"), F.min("comp").alias("lo"), F.max("comp").alias("hi")
     )
-    sizes = written(sizes.filter("lo <> hi").select("g", F.ceil(F.col("n_left") / BLOCK_LEFT).cast("int").alias("bl"), F.ceil(F.col("n_all") / BLOCK_ALL).cast("int").alias("ba")), "groups")
+    sizes = written(sizes.filter("lo <> hi").select("g", "n_all", F.ceil(F.col("n_left") / BLOCK_LEFT).cast("int").alias("bl"), F.ceil(F.col("n_all") / BLOCK_ALL).cast("int").alias("ba")), "groups")
     block = lambda n, seed: F.pmod(F.xxhash64("rep", F.lit(seed)), F.col(n)).cast("int")
     other = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
     ours = written(some.join(sizes, "g").select("g", "rep", "comp", block("bl", 1).alias("i"), other("ba").alias("j")), "ours")
     theirs = written(groups.join(sizes, "g").select("g", "rep", "comp", block("ba", 2).alias("j"), other("bl").alias("i")), "theirs")
     sets = _sets_of(docs, theirs.select(F.col("rep").alias("doc_id")), shingle).select(F.col("doc_id").alias("rep"), "shingles")
-    task = F.pmod(F.xxhash64("g"), F.lit(1024)).cast("int").alias("task")  # small groups share a task
+    tasks = (sizes.agg(F.sum("n_all")).first()[0] or 0) // BLOCK_ALL + 1
+    task = F.pmod(F.xxhash64("g"), F.lit(tasks)).alias("task")  # small groups share a task, as many as fill a block
     shape = [task, "i", "j", "g", "rep", "comp", "shingles"]
 
     def compare(a: pa.Table, b: pa.Table) -> pa.Table:
@@ -235,8 +256,7 @@ def classes(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT, sid
     signed = written(signatures(docs, shingle, side, rows), "signatures")
     some = signed.filter("n_shingles > 0 and doc_id is not null")
     reps = written(some.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("one").alias("one"), F.first("two").alias("two")), "classes")
-    table = F.flatten(F.transform("one", lambda x, i: F.transform("two", lambda y, j: F.xxhash64(x, y, i, j))))
-    keyed = reps.select("rep", F.explode(table).alias("key"))
+    keyed = written(_table_keys(reps), "keys")
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
     entries = written(keyed.join(shared, "key"), "entries")
     weight = entries.groupBy("rep").agg(F.sum("size").alias("weight"))
