@@ -303,3 +303,15 @@ def test_chat_collapse(spark):
         assert {c for c, _, _ in got} == {3, 4, 5, 6, None}
         assert [x for x in got if x[0] == 3] == [(3, 1, 0), (3, 2, 26), (3, 3, 52)]
     assert chat.render(df.limit(0)).isEmpty()
+
+
+def test_near_duplicates_alike_when_texts_are_shuffled(spark, monkeypatch):
+    base = [f"word{i}" for i in range(60)]
+    texts = [" ".join(base), " ".join(base[:-1]), " ".join(base[1:]), " ".join(f"other{i}" for i in range(40)), "", None]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    found = []
+    for bound in (neardup.BROADCAST_IDS, 0):
+        monkeypatch.setattr(neardup, "BROADCAST_IDS", bound)
+        found.append(sorted(tuple(r) for r in neardup.classes(docs).select("doc_id", "component_id", "kept").collect()))
+    assert found[0] == found[1]
+    assert [c for _, c, _ in found[0]] == [0, 0, 0, 3, 4, 5]
