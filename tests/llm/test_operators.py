@@ -180,6 +180,16 @@ def test_projected_gradient_against_direct_solution(spark):
     assert (r >= 0).all() and np.abs((r * n) @ p - want).max() / n.sum() < 2e-3 and log[-1]["loss"] < log[0]["loss"]
 
 
+def test_mixing_meets_targets_of_rare_domains(spark):
+    for shares in ((0, 0, 990, 10), (100, 0, 890, 10), (100, 1, 898, 1)):
+        rows = [(100, [float(i == k) for i in range(4)]) for k, n in enumerate(shares) for _ in range(n)]
+        df = spark.createDataFrame(rows, "n_tokens long, p array<double>")
+        rate, _ = mixing.fit(df)
+        got = {tuple(x[0]): x[1] for x in df.select("p", rate.alias("r")).distinct().collect()}
+        want = {tuple(float(i == k) for i in range(4)): mixing.TARGET[k] for k, n in enumerate(shares) if n}
+        assert got == {p: pytest.approx(t, abs=2e-3) for p, t in want.items()}
+
+
 def test_bpe_equals_library_and_decodes(spark):
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
     v = bpe.vocabulary(path, public_tokenizers.PATTERN)
