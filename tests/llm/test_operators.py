@@ -249,6 +249,20 @@ def test_shared_passages(spark):
     assert passages.shared_passages(docs_of(spark, texts).limit(0)).isEmpty()
 
 
+def own_words(seed):
+    rng = random.Random(seed)
+    return lambda n: ["".join(rng.choice("abcdefgh") for _ in range(8)) for _ in range(n)]
+
+
+def test_passages_beside_each_other_in_one_pair_are_kept(spark):
+    own = own_words(11)
+    for width, gap in ((60, 100), (100, 150), (150, 200)):
+        one, two = own(width), own(width)
+        texts = [" ".join(own(30) + one + own(gap) + two + own(30)) for _ in range(2)]
+        got = passages.shared_passages(docs_of(spark, texts)).collect()
+        assert sorted((r["starts"], r["ends"], r["other_starts"]) for r in got) == [(30, 30 + width, 30), (30 + width + gap, 30 + 2 * width + gap, 30 + width + gap)]
+
+
 def test_chain_is_the_best_by_brute_force():
     rng = np.random.default_rng(6)
     for _ in range(30):
