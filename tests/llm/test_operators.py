@@ -263,6 +263,15 @@ def test_passages_beside_each_other_in_one_pair_are_kept(spark):
         assert sorted((r["starts"], r["ends"], r["other_starts"]) for r in got) == [(30, 30 + width, 30), (30 + width + gap, 30 + 2 * width + gap, 30 + width + gap)]
 
 
+def test_passages_repeated_within_a_document_are_kept(spark):
+    own = own_words(13)
+    p, q, s = own(60), own(60), own(60)
+    one = own(20) + p + own(40) + q[:30] + own(70) + q + own(40) + s
+    two = own(30) + p + own(200) + p + own(200) + q + own(200) + s[:30] + own(70) + s
+    got = {(r["starts"], r["ends"], r["other_starts"], r["other_ends"]) for r in passages.shared_passages(docs_of(spark, [" ".join(one), " ".join(two)])).collect()}
+    assert got == {(30, 90, 20, 80), (290, 350, 20, 80), (550, 610, 220, 280), (910, 970, 320, 380)}
+
+
 def test_chain_is_the_best_by_brute_force():
     rng = np.random.default_rng(6)
     for _ in range(30):
