@@ -263,6 +263,14 @@ def test_passages_beside_each_other_in_one_pair_are_kept(spark):
         assert sorted((r["starts"], r["ends"], r["other_starts"]) for r in got) == [(30, 30 + width, 30), (30 + width + gap, 30 + 2 * width + gap, 30 + width + gap)]
 
 
+def test_passage_is_kept_whose_halves_have_other_homes(spark):
+    own = own_words(12)
+    p = own(60)
+    texts = [" ".join(own(40) + p[:34] + own(40)), " ".join(own(40) + p[26:] + own(40)), *(" ".join(own(50) + p + own(50)) for _ in range(3))]
+    got = {(r["doc_id"], r["other_id"], r["starts"], r["ends"], r["other_starts"]) for r in passages.shared_passages(docs_of(spark, texts)).collect()}
+    assert got == {(3, 2, 50, 110, 50), (4, 3, 50, 110, 50)}
+
+
 def test_passages_repeated_within_a_document_are_kept(spark):
     own = own_words(13)
     p, q, s = own(60), own(60), own(60)
