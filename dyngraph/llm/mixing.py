@@ -2,14 +2,15 @@
 
 A multinomial naive Bayes over hashed words is trained on labelled documents and gives every document a posterior
 over the domains (quality x toxic labels). With n(d) tokens and posterior p(d, k), a nonnegative rate r(d) for every
-document is fitted so that the expected domain totals sum_d r(d) n(d) p(d, k) meet the targets in least squares.
-Projected gradient starts from rate one; in the metric where document d weighs n(d) a step is
-r <- max(0, r - step * p(d) . v) with v the residual scaled by the inverse moments of p. So a rate needs no storage:
-it is the chain of the few vectors v, and each step is one aggregation of a few sums over a narrow table.
+document is fitted so that the expected domain totals sum_d r(d) n(d) p(d, k) meet the targets in least squares, with
+the rates as near to one as that allows. Gradients with respect to the rates are p(d) . v, for v the residual of the
+totals scaled by the inverse moments of p; they are added up and the sum is projected (lazy projection), so the rate is
+r(d) = max(0, 1 - p(d) . w) for one vector w of K numbers. A rate needs no storage, each step is one aggregation of a few
+sums over a narrow projection, and its plan is the same at every step: w comes as the value of a one-row subquery.
 
 Results for odd input: null or empty text has no tokens, the prior as posterior, and a rate like any other; labels
 that are null count as 0; without labelled documents all mass lies in the first domain; repeated rows are fitted
-each; an empty table gives no rows; further columns are left alone.
+each; an empty table gives no rows; further columns, whatever their names, are left alone.
 """
 
 from __future__ import annotations
@@ -17,7 +18,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import settled, words, written
+from .common import words, written
 
 #: Domains in the order of the posteriors: quality * 2 + toxic.
 DOMAINS = ("poor", "poor_toxic", "good", "good_toxic")
@@ -26,14 +27,13 @@ TARGET = (0.5, 0.0, 1.0, 0.0)
 BUCKETS = 1 << 13
 MAX_LABELLED = 20_000
 SMOOTHING = 1.0
+#: Passes over the narrow table at most.
 STEPS = 40
 #: Miss of each domain, as a share of its own tokens before mixing, at which fitting stops.
 TOLERANCE = 1e-3
-#: Ridge on the moments' diagonal as a share of each domain's tokens: a rare domain with documents of its own closes its
-#: miss in a step or two, one that only tinges other documents is not pursued at their cost.
-RIDGE = 0.01
-#: Rates this near to a whole number are rounded; others are rounded by a hash of the document.
-SNAP = 0.3
+#: Weight of the rates' squared distance from one beside the squared miss of a domain, as a share of the domain's tokens:
+#: what keeps a domain that only tinges other documents from being pursued at their cost.
+RIDGE = 1e-4
 
 
 def _bin(word: Column, buckets: int) -> Column:
@@ -79,15 +79,18 @@ def posteriors(docs: DataFrame, carried: Column, model: DataFrame, buckets: int
     return w.select("row", "n_tokens", F.transform("e", lambda x: x / total).alias("p"))
 
 
-def _rate(residuals: list[list[float]], step: float) -> Column:
-    """max(0, r - step * p . e), once for each residual vector so far, from rate one."""
-    r = F.lit(1.0)
-    for e in residuals:
-        dot = F.get("p", F.lit(0)) * F.lit(e[0])
-        for i in range(1, len(e)):
-            dot = dot + F.get("p", F.lit(i)) * F.lit(e[i])
-        r = F.greatest(F.lit(0.0), r - F.lit(step) * dot)
-    return r
+def _rate(w: Column, k: int) -> Column:
+    """max(0, 1 - p . w) for an array column ``w`` beside the posteriors ``p``."""
+    dot = F.get("p", F.lit(0)) * F.get(w, F.lit(0))
+    for i in range(1, k):
+        dot = dot + F.get("p", F.lit(i)) * F.get(w, F.lit(i))
+    return F.greatest(F.lit(0.0), F.lit(1.0) - dot)
+
+
+def rated(df: DataFrame, w: list[float]) -> DataFrame:
+    """``df`` (with posteriors ``p``) and its column ``rate``; the plan does not depend on the numbers in ``w``."""
+    held = df.sparkSession.range(1).select(F.array(*[F.lit(float(x)) for x in w]).alias("w"))
+    return df.withColumn("_w", held.scalar()).withColumn("rate", _rate(F.col("_w"), len(w))).drop("_w")
 
 
 def _solved(matrix: list[list[float]], right: list[float]) -> list[float]:
@@ -104,80 +107,78 @@ def _solved(matrix: list[list[float]], right: list[float]) -> list[float]:
     return [rows[i][n] / rows[i][i] if rows[i][i] else 0.0 for i in range(n)]
 
 
-def fit(narrow: DataFrame, target: tuple[float, ...] = TARGET, steps: int = STEPS, tolerance: float = TOLERANCE) -> tuple[Column, list[dict]]:
-    """The rate as a column over (n_tokens, p), and the totals after each step.
+def fit(narrow: DataFrame, target: tuple[float, ...] = TARGET, steps: int = STEPS, tolerance: float = TOLERANCE) -> tuple[list[float], list[dict]]:
+    """The vector w of the rates over (n_tokens, p), and the totals after each accepted step.
 
-    A pass gives the K totals and the K x K moments of p over documents of positive rate, all by tokens; only those
-    reach the driver. The residual is scaled by the moments' inverse with a ridge on the diagonal, which makes a step
-    nearly exact wherever no rate is cut off at zero. When the squared residual rises, the step is taken back and the
-    ridge's floor grows tenfold, towards a short step along the residual itself. Fitting ends when every domain is within
-    ``tolerance`` of its target by its own size, when no total moves any more, or after ``steps`` passes.
+    A pass gives, by tokens, the K totals and the K x K moments of p over documents of positive rate, and the sum of the
+    squared rates; only those reach the driver. The objective is sum n (r - 1)^2 / 2 + sum_k miss_k^2 / (2 c_k) with c_k
+    ``RIDGE`` times the domain's tokens, whose dual is smooth and convex in w; a step solves the moments' equations for the
+    residual and is halved while the dual does not fall. Fitting ends when every domain is within ``tolerance`` of its
+    target by its own size, when the residual of the penalised problem is gone, or after ``steps`` passes.
     """
     k = len(target)
     p = [F.get("p", F.lit(i)) for i in range(k)]
     pairs = [(i, j) for i in range(k) for j in range(i, k)]
 
-    def passed(chain: list[list[float]]) -> tuple[list[float], list[list[float]], float]:
-        df = narrow.withColumn("r", _rate(chain, 1.0))
-        live = F.when(F.col("r") > 0, F.col("n_tokens")).otherwise(0)
-        row = df.agg(F.sum("n_tokens").alias("n"), *[F.sum(F.col("n_tokens") * F.col("r") * p[i]).alias(f"t{i}") for i in range(k)], *[F.sum(live * p[i] * p[j]).alias(f"m{i}_{j}") for i, j in pairs]).first()
+    def passed(w: list[float]) -> tuple[list[float], list[list[float]], float, float]:
+        df = rated(narrow.select("n_tokens", "p"), w)
+        r, live = F.col("rate"), F.when(F.col("rate") > 0, F.col("n_tokens")).otherwise(0)
+        row = df.agg(F.sum("n_tokens").alias("n"), F.sum(F.col("n_tokens") * r * r).alias("rr"), *[F.sum(F.col("n_tokens") * r * p[i]).alias(f"t{i}") for i in range(k)], *[F.sum(live * p[i] * p[j]).alias(f"m{i}_{j}") for i, j in pairs]).first()
         moments = [[(row[f"m{min(i, j)}_{max(i, j)}"] or 0.0) for j in range(k)] for i in range(k)]
-        return [row[f"t{i}"] or 0.0 for i in range(k)], moments, float(row["n"] or 0)
+        return [row[f"t{i}"] or 0.0 for i in range(k)], moments, row["rr"] or 0.0, float(row["n"] or 0)
 
-    now, moments, tokens = passed([])
+    w = [0.0] * k
+    now, moments, squares, tokens = passed(w)
     if not tokens:
-        return F.lit(1.0), []
-    first = now
-    wanted = [target[i] * first[i] for i in range(k)]
-    loss = lambda x: sum(((a - b) / tokens) ** 2 for a, b in zip(x, wanted, strict=True))
-    share = [x / tokens for x in first]
-    bound = [tolerance * x + 1e-6 * tokens for x in first]
-    missed = lambda x: [i for i in range(k) if abs(x[i] - wanted[i]) > bound[i]]
-    done, log, floor = [], [{"totals": now, "loss": loss(now)}], 0.0
-    for _ in range(steps):
-        if not (far := missed(now)):
+        return w, []
+    wanted = [target[i] * now[i] for i in range(k)]
+    own = [max(x, 1e-9 * tokens) for x in now]
+    ridge = [RIDGE * x for x in own]
+    dual = lambda w, squares: 0.5 * squares + sum(a * b + 0.5 * c * a * a for a, b, c in zip(w, wanted, ridge, strict=True))
+    miss = lambda now: [(a - b) / c for a, b, c in zip(now, wanted, own, strict=True)]
+    log, value, used = [{"w": w, "totals": now, "miss": miss(now)}], dual(w, squares), 1
+    while used < steps and max(map(abs, miss(now))) > tolerance:
+        left = [a - b - c * x for a, b, c, x in zip(now, wanted, ridge, w, strict=True)]
+        if max(abs(a) / b for a, b in zip(left, own, strict=True)) <= 0.1 * tolerance:
             break
-        floor = max(floor, RIDGE * min(share[i] for i in far))
-        scaled = [[moments[i][j] / tokens + (max(RIDGE * share[i], floor) if i == j else 0.0) for j in range(k)] for i in range(k)]
-        trial = [*done, _solved(scaled, [(a - b) / tokens for a, b in zip(now, wanted, strict=True)])]
-        then, fresh, _ = passed(trial)
-        if loss(then) >= loss(now):
-            floor *= 10
-            if floor > 1e3:
-                break
-            continue
-        still = all(abs(a - b) <= 0.1 * c for a, b, c in zip(now, then, bound, strict=True))
-        done, now, moments, floor = trial, then, fresh, floor / 4
-        log.append({"totals": now, "loss": loss(now)})
-        if still:
+        step = _solved([[moments[i][j] + (ridge[i] if i == j else 0.0) for j in range(k)] for i in range(k)], left)
+        size, better = 1.0, False
+        while used < steps and not better and size > 1e-4:
+            trial = [a + size * b for a, b in zip(w, step, strict=True)]
+            then, fresh, squares, _ = passed(trial)
+            used += 1
+            better = dual(trial, squares) < value
+            size /= 2
+        if not better:
             break
-    return _rate(done, 1.0), log
+        w, now, moments, value = trial, then, fresh, dual(trial, squares)
+        log.append({"w": w, "totals": now, "miss": miss(now)})
+    return w, log
 
 
 def copies(rate: Column, key: Column) -> Column:
-    """Whole number of copies: rates near a whole number are rounded, others by a hash of ``key``, in expectation exact."""
-    part = rate - F.floor(rate)
+    """Whole number of copies: the rate's fraction is rounded up or down by a hash of ``key``, exact in expectation."""
     coin = F.pmod(F.xxhash64(key, F.lit("mixing")), F.lit(1_000_003).cast("long")) / F.lit(1_000_003.0)
-    up = F.when(part >= 1 - SNAP, True).when(part <= SNAP, False).otherwise(coin < part)
-    return (F.floor(rate) + up.cast("long")).cast("int")
+    return (F.floor(rate) + (coin < rate - F.floor(rate)).cast("long")).cast("int")
+
+
+def _fitted(docs: DataFrame, carried: Column, labels: DataFrame, target: tuple[float, ...], steps: int) -> DataFrame:
+    """``carried`` as row, n_tokens, p and rate. Posteriors are computed once, beside the row, and written; the fit reads
+    the two narrow columns of that table only."""
+    model = written(classifier(docs, labels), "classifier")
+    wide = written(posteriors(docs, carried, model), "posteriors")
+    w, _ = fit(wide, target, steps)
+    return rated(wide, w)
 
 
 def rates(docs: DataFrame, labels: DataFrame, target: tuple[float, ...] = TARGET, steps: int = STEPS) -> DataFrame:
     """One row per row of ``docs``: doc_id, n_tokens, one posterior column a domain, rate and copies."""
-    narrow = written(posteriors(docs, F.struct("doc_id"), classifier(docs, labels)).select("row.doc_id", "n_tokens", "p"), "posteriors")
-    rate, _ = fit(narrow, target, steps)
-    out = narrow.withColumn("rate", rate)
-    return out.select("doc_id", "n_tokens", *[F.round(F.get("p", F.lit(i)), 6).alias(f"p_{d}") for i, d in enumerate(DOMAINS)], F.round("rate", 6).alias("rate"), copies(F.col("rate"), F.col("doc_id")).alias("copies"))
+    out = _fitted(docs, F.struct("doc_id"), labels, target, steps)
+    return out.select("row.doc_id", "n_tokens", *[F.round(F.get("p", F.lit(i)), 6).alias(f"p_{d}") for i, d in enumerate(DOMAINS)], F.round("rate", 6).alias("rate"), copies(F.col("rate"), F.col("row.doc_id")).alias("copies"))
 
 
 def mix(docs: DataFrame, labels: DataFrame, target: tuple[float, ...] = TARGET, steps: int = STEPS) -> DataFrame:
-    """``docs`` with each row repeated as often as its rate says, which may be never.
-
-    The posteriors are computed again beside the rows instead of joining them.
-    """
-    model = written(classifier(docs, labels), "classifier")
-    narrow = written(posteriors(docs, F.struct("doc_id"), model).select("row.doc_id", "n_tokens", "p"), "posteriors")
-    rate, _ = fit(narrow, target, steps)
-    whole = posteriors(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]), model).select("row", copies(rate, F.col("row.doc_id")).alias("copies"))
-    whole = whole.select("row", F.when(settled(F.lit(True)), F.col("copies")).otherwise(0).alias("copies"))
+    """``docs`` with each row repeated as often as its rate says, which may be never."""
+    whole = _fitted(docs, F.struct(*[F.col(f"`{c}`") for c in docs.columns]), labels, target, steps)
+    whole = whole.select("row", copies(F.col("rate"), F.col("row.doc_id")).alias("copies"))
     return whole.select(F.explode(F.array_repeat("row", F.col("copies"))).alias("row")).select("row.*")
