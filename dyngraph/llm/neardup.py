@@ -9,12 +9,15 @@ only where the full sets have Jaccard similarity ``percent``/100 or more.
 Two classes meet in table (i, j) only where they share both groups, so groups that one class alone has are dropped
 first and tables are keyed by pairs of what is left: the same candidates from a fraction of the rows.
 
-Candidates are not expanded to all pairs of a table entry. In entries of up to ``few`` classes all are compared; in
-larger ones each is compared with the entry's most central member, the one with the fullest entries, if it shares
-``SHARED`` tables with it. Links join components. Where an entry then still holds several components, the members outside its largest one are compared
-exactly, in blocks within one task each, with everything that shares a group of the first collection; a task
-returns one link for a member and a component at most. So a link that joins two components is missed only where both
-ends share no table: at similarity 0.8 with the default sizes about 7 in 100,000 pairs, at 0.9 none in 10**9.
+Candidates are not expanded to all pairs of a table entry, and no member carries its entries through a join. First
+the side tables (i, i) alone link members to their entry's centre, the member whose groups are fullest, and links join
+components. Then all tables are summed up by component: an entry that one component fills needs no more. Of the others,
+those of up to ``few`` classes have all their pairs compared; in larger ones the members outside the largest component
+are compared with its centre, if they share ``SHARED`` tables with it. Where an entry then still holds several
+components, the members outside its largest one are compared exactly, in blocks within one task each, with everything
+that shares a group of the first collection; a task returns one link for two components at most. So a link that joins
+two components is missed only where both ends share no table: at similarity 0.8 with the default sizes about 7 in
+100,000 pairs, at 0.9 none in 10**9.
 
 Results for odd input: null or empty text has an empty set and is linked with nothing; a row without doc_id is its
 own document (component_id null, kept true); rows that repeat a doc_id are one document; with fewer words than a
@@ -40,8 +43,9 @@ ROWS = 2
 FEW = 4
 #: Members outside their entry's largest component, and others, that one task compares at a time.
 BLOCK_LEFT, BLOCK_ALL = 256, 2048
-#: Tables that a member must share with a centre to be compared with it at once; others wait for the exact comparison.
-SHARED = 6
+#: Tables, of the ``side`` first and of all, that a member must share with a centre to be compared with it at once; others
+#: wait for the exact comparison.
+SHARED_FIRST, SHARED = 2, 6
 #: Ids that may be broadcast when full sets are computed anew (about 60 MB); with more, the texts are shuffled.
 BROADCAST_IDS = 1_000_000
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
@@ -138,9 +142,11 @@ def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
     edges = written(edges.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "edges")
     nodes = edges.select(F.col("a").alias("node")).union(edges.select(F.col("b").alias("node"))).distinct()
     found = written(nodes.select("node", F.col("node").alias("component")), "nodes")
-    for _ in range(max_rounds):
+    for rounds in range(max_rounds + 1):
         if edges.isEmpty():
             break
+        if rounds == max_rounds:
+            raise RuntimeError(f"components did not settle in {max_rounds} rounds")
         both = edges.union(edges.select("b", "a"))
         to = both.groupBy(F.col("a").alias("v")).agg(F.least(F.min("b"), F.first("a")).alias("p"))
         jump = lambda x: x.join(to.select(F.col("v").alias("p"), F.col("p").alias("q")), "p", "left").select("v", F.coalesce("q", "p").alias("p"))
@@ -157,10 +163,11 @@ def components(edges: DataFrame, max_rounds: int = 64) -> DataFrame:
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) whose full sets are similar enough."""
+    """Links between components (a, b), from those pairs (a, b, comp_a, comp_b) whose full sets are similar enough."""
     both = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("shingles").alias("x")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("shingles").alias("y")), "b")
-    common = both.select("a", "b", F.size("x").alias("m"), F.size("y").alias("n"), F.size(F.array_intersect("x", "y")).alias("c"))
-    return common.filter(F.lit(100).cast("long") * F.col("c") >= percent * (F.col("m") + F.col("n") - F.col("c"))).select("a", "b").distinct()
+    common = both.select("comp_a", "comp_b", F.size("x").alias("m"), F.size("y").alias("n"), F.size(F.array_intersect("x", "y")).alias("c"))
+    similar = common.filter(F.lit(100).cast("long") * F.col("c") >= percent * (F.col("m") + F.col("n") - F.col("c")))
+    return similar.select(F.col("comp_a").alias("a"), F.col("comp_b").alias("b")).distinct()
 
 
 def _fits(percent: int, m: str = "m", n: str = "n") -> str:
@@ -175,24 +182,67 @@ def _sets_of(docs: DataFrame, ids: DataFrame, shingle: int) -> DataFrame:
     return written(full_sets(some, shingle), "sets")
 
 
-def _table_keys(reps: DataFrame) -> DataFrame:
-    """rep and key of every table entry that another class may share, from the groups that several classes have."""
+def _members(reps: DataFrame) -> DataFrame:
+    """rep, n, its groups of both collections that several classes have, and weight: how full those groups are."""
     named = lambda c, s: F.transform(c, lambda x, i: F.struct(F.lit(s).alias("side"), i.alias("i"), x.alias("x")))
-    groups = reps.select("rep", F.inline(F.concat(named("one", 0), named("two", 1))))
-    shared = groups.groupBy("side", "i", "x").agg(F.count(F.lit(1)).alias("size")).filter("size > 1").drop("size")
+    groups = reps.select("rep", "n", F.inline(F.concat(named("one", 0), named("two", 1))))
+    shared = groups.groupBy("side", "i", "x").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
     met = groups.join(shared, ["side", "i", "x"])
     of = lambda s: F.collect_list(F.when(F.col("side") == s, F.struct("i", "x")))  # noqa: E731  at most ``side`` entries
-    both = met.groupBy("rep").agg(of(0).alias("one"), of(1).alias("two"))
-    keys = F.flatten(F.transform("one", lambda a: F.transform("two", lambda b: F.xxhash64(a["x"], b["x"], a["i"], b["i"]))))
-    return both.select("rep", F.explode(keys).alias("key"))
+    return met.groupBy("rep").agg(F.first("n").alias("n"), of(0).alias("one"), of(1).alias("two"), F.sum("size").alias("weight"))
+
+
+def _entries(members: DataFrame, labels: DataFrame, first: bool = False) -> DataFrame:
+    """key, rep, n, weight and comp of every table entry; with ``first`` those of the tables (i, i) only."""
+    other = lambda a: F.filter("two", lambda b: b["i"] == a["i"]) if first else F.col("two")
+    keys = F.flatten(F.transform("one", lambda a: F.transform(other(a), lambda b: F.xxhash64(a["x"], b["x"], a["i"], b["i"]))))
+    return members.join(labels, "rep").select(F.explode(keys).alias("key"), "rep", "n", "weight", "comp")
+
+
+def _open_tables(entries: DataFrame) -> DataFrame:
+    """Keys that several components share: size (members), most (the largest component), its centre and the centre's n."""
+    each = entries.groupBy("key", "comp").agg(F.count(F.lit(1)).alias("size"), F.max(F.struct("weight", (-F.col("rep")).alias("back"), "n")).alias("c"))
+    found = each.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.sum("size").alias("size"), F.max(F.struct("size", "c.weight", (-F.col("comp")).alias("back"), "c")).alias("m"))
+    return found.filter("parts > 1").select("key", "size", (-F.col("m.back")).alias("most"), (-F.col("m.c.back")).alias("centre"), F.col("m.c.n").alias("centre_n"))
+
+
+def _outside(entries: DataFrame, tables: DataFrame) -> DataFrame:
+    """Entries outside their table's largest component, beside the table."""
+    tables = tables.withColumnRenamed("key", "k")
+    return entries.join(tables, (F.col("key") == F.col("k")) & (F.col("comp") != F.col("most"))).drop("k")
+
+
+def _star(outside: DataFrame, shared: int, percent: int) -> DataFrame:
+    """Pairs of a centre and a member outside its component that share ``shared`` tables and could be similar by size."""
+    some = outside.filter(_fits(percent, "n", "centre_n")).groupBy("centre", "rep", "most", "comp").agg(F.count(F.lit(1)).alias("tables"))
+    return some.filter(F.col("tables") >= shared).select(F.col("centre").alias("a"), F.col("rep").alias("b"), F.col("most").alias("comp_a"), F.col("comp").alias("comp_b"))
+
+
+def _all_pairs(small: DataFrame, percent: int) -> DataFrame:
+    """All pairs of different components within tables of a few members."""
+    side = lambda x: small.select("key", F.col("rep").alias(x), F.col("n").alias(f"n_{x}"), F.col("comp").alias(f"comp_{x}"))
+    both = side("a").join(side("b"), "key").filter((F.col("a") < F.col("b")) & (F.col("comp_a") != F.col("comp_b")))
+    return both.filter(_fits(percent, "n_a", "n_b")).select("a", "b", "comp_a", "comp_b")
+
+
+def _joined(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """``labels`` (rep, comp) after the links between components."""
+    into = components(links).select(F.col("node").alias("comp"), F.col("component").alias("into"))
+    return written(labels.join(into, "comp", "left").select("rep", F.coalesce("into", "comp").alias("comp")), "labels")
+
+
+def _compared(docs: DataFrame, pairs: DataFrame, labels: DataFrame, shingle: int, percent: int) -> DataFrame:
+    pairs = written(pairs.distinct(), "pairs")
+    sets = _sets_of(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")), shingle)
+    return _joined(labels, _verified(pairs, sets, percent))
 
 
 def block_links(left: pa.Table, every: pa.Table, percent: int) -> pa.Table:
-    """Links (a, b) between rows of ``left`` and of ``every`` (g, rep, comp, shingles) of one g and different components.
+    """Links (a, b) between the components of rows of ``left`` and of ``every`` (g, rep, comp, shingles) of one g.
 
     The shingles of ``left``, keyed with g, are one sorted list of postings that each other row looks its own up in.
     """
-    out: dict[tuple[int, int], int] = {}
+    out: set[tuple[int, int]] = set()
     if left.num_rows and every.num_rows:
         sides = []
         for t in (left, every):
@@ -201,34 +251,30 @@ def block_links(left: pa.Table, every: pa.Table, percent: int) -> pa.Table:
             bounds = lists.offsets.to_numpy()
             salt = _mixed(t.column("g").to_numpy().view(np.uint64).copy())
             flat = lists.values.to_numpy()[bounds[0] : bounds[-1]].view(np.uint64) ^ np.repeat(salt, np.diff(bounds))
-            sides.append((flat, bounds - bounds[0], t.column("rep").to_numpy(), t.column("comp").to_numpy()))
-        (flat, bounds, reps, comps), (keys, ends, others, theirs) = sides
+            sides.append((flat, bounds - bounds[0], t.column("comp").to_numpy()))
+        (flat, bounds, comps), (keys, ends, theirs) = sides
         sizes = np.diff(bounds)
         order = np.argsort(flat, kind="stable")
         flat, owner = flat[order], np.repeat(np.arange(len(sizes)), sizes)[order]
-        for j in range(len(others)):
+        for j in range(len(theirs)):
             k = keys[ends[j] : ends[j + 1]]
             lo = np.searchsorted(flat, k, "left")
             n = np.searchsorted(flat, k, "right") - lo
             hits = np.repeat(lo - np.cumsum(n) + n, n) + np.arange(int(n.sum()))
             common = np.bincount(owner[hits], minlength=len(sizes))
             for i in np.flatnonzero((100 * common >= percent * (sizes + len(k) - common)) & (comps != theirs[j])):
-                out.setdefault((int(reps[i]), int(theirs[j])), int(others[j]))
-    a, b = [min(r, o) for (r, _), o in out.items()], [max(r, o) for (r, _), o in out.items()]
-    return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
-
-
-def _left_over(docs: DataFrame, reps: DataFrame, entries: DataFrame, part: DataFrame, shingle: int, percent: int, few: int) -> DataFrame | None:
-    """Links of members that the first comparison left outside their entry's largest component; exact, in blocks."""
-    named = part.select(F.col("node").alias("rep"), "component")
-    live = entries.filter(F.col("size") > few).select("key", "rep").join(named, "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    counts = live.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
-    mixed = counts.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max_by("component", F.struct("n", -F.col("component"))).alias("most")).filter("parts > 1")
-    left = written(live.join(mixed.select("key", "most"), "key").filter("component <> most").select("rep").distinct(), "left")
+                out.add((min(int(comps[i]), int(theirs[j])), max(int(comps[i]), int(theirs[j]))))
+    return pa.table({"a": pa.array([x[0] for x in out], pa.int64()), "b": pa.array([x[1] for x in out], pa.int64())})
+
+
+def _left_over(docs: DataFrame, members: DataFrame, labels: DataFrame, shingle: int, percent: int, few: int) -> DataFrame | None:
+    """Links of members that the first comparisons left outside their entry's largest component; exact, in blocks."""
+    entries = _entries(members, labels)
+    left = written(_outside(entries, _open_tables(entries).filter(F.col("size") > few)).select("rep").distinct(), "left")
     if left.isEmpty():
         return None
-    groups = reps.select("rep", "n", F.explode(F.transform("one", lambda x, i: F.xxhash64(x, i))).alias("g"))
-    groups = groups.join(named, "rep", "left").withColumn("comp", F.coalesce("component", "rep")).select("g", "rep", "n", "comp")
+    groups = members.select("rep", F.explode(F.transform("one", lambda x: F.xxhash64(x["x"], x["i"]))).alias("g"))
+    groups = groups.join(labels, "rep").select("g", "rep", "comp")
     some = groups.join(left, "rep", "left_semi")
     sizes = groups.join(some.groupBy("g").agg(F.count(F.lit(1)).alias("n_left")), "g").groupBy("g").agg(
         F.first("n_left").alias("n_left"), F.count(F.lit(1)).alias("n_all"), F.min("comp").alias("lo"), F.max("comp").alias("hi")
@@ -256,29 +302,19 @@ def classes(docs: DataFrame, shingle: int = SHINGLE, percent: int = PERCENT, sid
     signed = written(signatures(docs, shingle, side, rows), "signatures")
     some = signed.filter("n_shingles > 0 and doc_id is not null")
     reps = written(some.groupBy("set_key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("one").alias("one"), F.first("two").alias("two")), "classes")
-    keyed = written(_table_keys(reps), "keys")
-    shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("size")).filter("size > 1")
-    entries = written(keyed.join(shared, "key"), "entries")
-    weight = entries.groupBy("rep").agg(F.sum("size").alias("weight"))
-    large = entries.filter(F.col("size") > few)
-    centres = large.join(weight, "rep").groupBy("key").agg(F.max_by("rep", F.struct("weight", -F.col("rep"))).alias("a"))
-    small = entries.filter(F.col("size") <= few)
-    pairs = large.join(centres, "key").groupBy("a", F.col("rep").alias("b")).agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= SHARED).select("a", "b").unionAll(
-        small.select("key", F.col("rep").alias("a")).join(small.select("key", F.col("rep").alias("b")), "key").filter("a < b").select("a", "b")
-    )
-    pairs = pairs.filter("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    length = reps.select("rep", "n")
-    pairs = pairs.join(length.select(F.col("rep").alias("a"), F.col("n").alias("m")), "a").join(length.select(F.col("rep").alias("b"), "n"), "b").filter(_fits(percent)).select("a", "b")
-    pairs = written(pairs, "pairs")
-    sets = _sets_of(docs, pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")), shingle)
-    part = components(_verified(pairs, sets, percent))
-    more = _left_over(docs, reps, entries, part, shingle, percent, few)
+    members = written(_members(reps), "members")
+    labels = members.select("rep", F.col("rep").alias("comp"))
+    entries = _entries(members, labels, first=True)
+    labels = _compared(docs, _star(_outside(entries, _open_tables(entries)), SHARED_FIRST, percent), labels, shingle, percent)
+    entries = _entries(members, labels)
+    tables = written(_open_tables(entries), "tables")
+    large, small = tables.filter(F.col("size") > few), tables.filter(F.col("size") <= few).select("key")
+    pairs = _star(_outside(entries, large), SHARED, percent).unionAll(_all_pairs(written(entries.join(small, "key"), "small"), percent))
+    labels = _compared(docs, pairs, labels, shingle, percent)
+    more = _left_over(docs, members, labels, shingle, percent, few)
     if more is not None:
-        named = lambda e, c: e.join(part.select(F.col("node").alias(c), F.col("component").alias(f"c{c}")), c, "left").withColumn(c, F.coalesce(f"c{c}", c)).drop(f"c{c}")
-        merged = components(named(named(more, "a"), "b"))
-        grown = part.join(merged.select(F.col("node").alias("component"), F.col("component").alias("into")), "component", "left").select("node", F.coalesce("into", "component").alias("component"))
-        part = written(grown.unionAll(merged.join(part, "node", "left_anti").select("node", "component")), "components")
-    roots = reps.select("set_key", "rep").join(part.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("root"))
+        labels = _joined(labels, written(more, "links"))
+    roots = reps.select("set_key", "rep").join(labels, "rep", "left").select("set_key", F.coalesce("comp", "rep").alias("root"))
     out = signed.join(roots, "set_key", "left")
     out = out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
     return out.withColumn("kept", F.coalesce(F.col("component_id") == F.col("doc_id"), F.lit(True)))
