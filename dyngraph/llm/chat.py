@@ -6,7 +6,8 @@ four lanes of 32 bits. A conversation goes when its whole hash is the hash of a
 anti-join), or of an equal one with a smaller conv_id. The maximal ones are rendered turn by turn.
 
 Running counts and sums are taken in two levels, within blocks of ``block`` turn numbers and then over the blocks'
-sums, so one very long conversation is spread over many tasks. Nothing is collected to arrays.
+sums, so one very long conversation is spread over many tasks. Nothing is collected to arrays. The turns with their
+prefix hashes and lengths are written once, and all comparisons read the narrow columns of that table.
 
 Results for odd input: null role or text counts and renders as empty text but differs from it in the hash; rows
 without conv_id are one conversation; null turns come first; rows of a conversation that repeat turn, role and text are one
@@ -18,6 +19,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import written
+
 BLOCK = 512
 # The markers of the rendered form.
 OPEN, BREAK, CLOSE = "<|im_start|>", "\n", "<|im_end|>\n"
@@ -36,36 +39,37 @@ def _running(rows: DataFrame, sums: dict[str, Column]) -> DataFrame:
     return out.select(*rows.columns, *[(F.col(k) + F.col(f"_{k}")).alias(k) for k in sums])
 
 
+def _rendered() -> Column:
+    said = lambda c: F.coalesce(F.col(c), F.lit(""))
+    return F.concat(F.lit(OPEN), said("role"), F.lit(BREAK), said("text"), F.lit(CLOSE))
+
+
 def turns(conversations: DataFrame, block: int = BLOCK) -> DataFrame:
-    """Distinct turns with place (from 1), the prefix hash up to them (h0..h3), n (turns of the whole) and their hash's end."""
+    """Distinct turns with place (from 1), the prefix hash up to them (h0..h3) and upto, the rendered characters up to them."""
     rows = conversations.select("conv_id", "turn", "role", "text").distinct()
     key = F.coalesce(F.col("conv_id").cast("string"), F.lit("null"))
     rows = rows.withColumn("c", key).withColumn("b", F.coalesce(F.floor(F.col("turn") / block).cast("long"), F.lit(-(2**62))))
     placed = _running(rows, {"place": F.lit(1).cast("long")})
     lane = lambda i: F.xxhash64("place", F.col("role").isNull(), "role", F.col("text").isNull(), "text", F.lit(i // 2))
     half = lambda i: (F.shiftrightunsigned(lane(i), 32) if i % 2 else lane(i)).bitwiseAND(F.lit(2**32 - 1))
-    return _running(placed, {f"h{i}": half(i) for i in range(_LANES)})
+    return _running(placed, {f"h{i}": half(i) for i in range(_LANES)} | {"upto": F.length(_rendered()).cast("long")})
 
 
 def maximal(conversations: DataFrame, block: int = BLOCK) -> DataFrame:
-    """The distinct turns, with place and prefix hashes, of those conversations that no other one continues or repeats."""
-    rows = turns(conversations, block)
+    """The distinct turns, with place, prefix hashes, upto and n (turns of the whole), of those conversations that no
+    other one continues or repeats."""
+    rows = written(turns(conversations, block), "turns")
     hashes = [f"h{i}" for i in range(_LANES)]
-    ends = rows.groupBy("c").agg(F.max("place").alias("n"))
-    rows = rows.join(ends, "c")
-    proper = rows.filter("place < n").select("place", *hashes).distinct()
-    whole = rows.filter("place = n").select("c", "conv_id", "place", *hashes)
-    first = whole.groupBy("place", *hashes).agg(F.min_by("c", F.struct(F.col("conv_id").isNull(), "conv_id")).alias("c"))
-    kept = first.join(proper, ["place", *hashes], "left_anti").select("c")
-    return rows.join(kept, "c", "left_semi")
+    ends = rows.groupBy("c").agg(F.max_by(F.struct("conv_id", "place", *hashes), "place").alias("e")).select("c", "e.*")
+    proper = rows.select("c", "place", *hashes).join(ends.select("c", F.col("place").alias("n")), "c").filter("place < n").select("place", *hashes)
+    first = ends.groupBy("place", *hashes).agg(F.min_by("c", F.struct(F.col("conv_id").isNull(), "conv_id")).alias("c"))
+    kept = written(first.join(proper, ["place", *hashes], "left_anti").select("c", F.col("place").alias("n")), "kept")
+    return rows.join(kept, "c")
 
 
 def render(conversations: DataFrame, block: int = BLOCK) -> DataFrame:
     """One row per turn of the maximal conversations: conv_id, place, n_turns, starts (characters before it), rendered."""
-    said = lambda c: F.coalesce(F.col(c), F.lit(""))
-    rows = maximal(conversations, block)
-    rows = rows.withColumn("rendered", F.concat(F.lit(OPEN), said("role"), F.lit(BREAK), said("text"), F.lit(CLOSE)))
-    rows = _running(rows.select("c", "b", "conv_id", "turn", "role", "text", "place", "n", "rendered"), {"upto": F.length("rendered").cast("long")})
+    rows = maximal(conversations, block).withColumn("rendered", _rendered())
     return rows.select("conv_id", "place", F.col("n").alias("n_turns"), (F.col("upto") - F.length("rendered")).alias("starts"), "rendered")
 
 
