@@ -50,9 +50,10 @@ def bin_weights(docs: DataFrame, trusted: DataFrame, buckets: int = BUCKETS) ->
     )
     following = F.slice("h", F.lit(2), F.greatest(F.size("h") - 1, F.lit(0)))
     pairs = marked.select(F.coalesce("good", F.lit(0)).cast("long").alias("good"), F.inline(F.arrays_zip(F.col("h").alias("a"), following.alias("b"))))
-    pairs = pairs.toDF("good", "a", "b").select("good", _bin(F.col("a"), buckets).alias("one"), _bin(F.xxhash64("a", "b"), buckets).alias("two"))
+    pairs = pairs.toDF("good", "a", "b").select("good", _bin(F.col("a"), buckets).alias("one"), F.when(F.col("b").isNotNull(), _bin(F.xxhash64("a", "b"), buckets)).alias("two"))
     counts = (
         pairs.select("good", F.expr("stack(2, one, two)").alias("bin"))
+        .filter("bin is not null")  # a document's last word begins no pair
         .groupBy("bin")
         .agg(F.count(F.lit(1)).alias("raw"), F.sum("good").alias("good"))
     )
@@ -105,10 +106,11 @@ def _judged(docs: DataFrame, carried: Column, labels: DataFrame, buckets: int, t
     )
     base = base.withColumn("weights", weights)
     gain = lambda h: F.get("weights", _bin(h, buckets))
-    total = F.aggregate(F.transform("h", lambda h, i: gain(h) + gain(F.xxhash64(h, F.get("h", i + 1)))), F.lit(0.0), lambda a, x: a + x)
+    pair = lambda h, i: F.when(i + 1 < F.size("h"), gain(F.xxhash64(h, F.get("h", i + 1)))).otherwise(0.0)
+    total = F.aggregate(F.transform("h", lambda h, i: gain(h) + pair(h, i)), F.lit(0.0), lambda a, x: a + x)
     out = base.select(
         "row", "n_words", "word_chars", "n_symbols", "n_dup_lines", _repeat_words("n_words", "grams").alias("n_repeat_words"),
-        F.when(F.col("n_words") == 0, F.lit(0.0)).otherwise(total / (2 * F.col("n_words"))).alias("score"),
+        F.when(F.col("n_words") == 0, F.lit(0.0)).otherwise(total / (2 * F.col("n_words") - 1)).alias("score"),
     )
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
     return out.withColumn("base_failed", failed).withColumn("kept", ~F.col("base_failed") & (F.col("score") >= threshold))
