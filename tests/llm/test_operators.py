@@ -308,6 +308,64 @@ def test_passage_is_kept_whose_halves_have_other_homes(spark):
     assert got == {(3, 2, 50, 110, 50), (4, 3, 50, 110, 50)}
 
 
+def test_partners_across_ranges_by_brute_force(spark):
+    rng = random.Random(9)
+    rows = {(rng.choice((1, 1, 1, 2, 3, rng.randrange(9, 60))), rng.randrange(80)) for _ in range(400)}
+    df = spark.createDataFrame([(d, k, [d]) for k, d in rows], "doc_id long, key long, places array<int>")
+    want = set()
+    for key in {k for k, _ in rows}:
+        docs = sorted(d for k, d in rows if k == key)
+        for i, d in enumerate(docs):
+            want |= {(d, o) for o in (docs[0], *docs[max(0, i - 3) : i]) if o != d}
+    for n, size in ((1, 10_000), (4, 10_000), (16, 10_000), (40, 7), (3, 2)):
+        spark.conf.set("spark.sql.shuffle.partitions", n)
+        spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
+        try:
+            got = {(r["doc_id"], r["other_id"]) for r in passages.partners(df).collect()}
+        finally:
+            for c in ("spark.sql.adaptive.coalescePartitions.enabled", "spark.sql.execution.arrow.maxRecordsPerBatch"):
+                spark.conf.unset(c)
+            spark.conf.set("spark.sql.shuffle.partitions", 4)
+        assert got == want, (n, size)
+
+
+def test_recall_on_interleaved_homes_by_brute_force(spark):
+    own = own_words(21)
+    rng = random.Random(22)
+    pieces = [own(30) for _ in range(60)]
+    texts = [[own(15), *[pieces[rng.randrange(60)] if rng.random() < 0.5 else own(25) for _ in range(6)], own(15)] for _ in range(80)]
+    for _ in range(70):  # passages of two to four pieces that other documents hold in part
+        i, j = rng.sample(range(80), 2)
+        p = [pieces[rng.randrange(60)] for _ in range(rng.randrange(2, 5))]
+        texts[i][1:1], texts[j][-1:-1] = p, p
+    words = [[w for part in t for w in part] for t in texts]
+    want = {}
+    for b in range(len(words)):  # equal runs of 50 words or more that an earlier document has too
+        runs = set()
+        for a in range(b):
+            place = {}
+            for i in range(len(words[a]) - 49):
+                place.setdefault(words[a][i], []).append(i)
+            j = 0
+            while j < len(words[b]):
+                best = 0
+                for i in place.get(words[b][j], ()):
+                    n = 0
+                    while j + n < len(words[b]) and i + n < len(words[a]) and words[a][i + n] == words[b][j + n]:
+                        n += 1
+                    best = max(best, n)
+                if best >= 50:
+                    runs.add((j, j + best))
+                j += max(1, best)
+        want[b] = runs
+    got = passages.shared_passages(docs_of(spark, [" ".join(w) for w in words])).collect()
+    hit = sum(any(r["doc_id"] == b and r["starts"] <= s and e <= r["ends"] for r in got) for b, runs in want.items() for s, e in runs)
+    total = sum(map(len, want.values()))
+    print("passages", total, "found", hit)
+    assert total > 60 and hit >= 0.95 * total
+
+
 def test_passages_repeated_within_a_document_are_kept(spark):
     own = own_words(13)
     p, q, s = own(60), own(60), own(60)
