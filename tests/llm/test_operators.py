@@ -316,8 +316,8 @@ def test_partners_across_ranges_by_brute_force(spark):
     for key in {k for k, _ in rows}:
         docs = sorted(d for k, d in rows if k == key)
         for i, d in enumerate(docs):
-            want |= {(d, o) for o in (docs[0], *docs[max(0, i - 3) : i]) if o != d}
-    for n, size in ((1, 10_000), (4, 10_000), (16, 10_000), (40, 7), (3, 2)):
+            want |= {(d, o) for o in (docs[0], *docs[max(0, i - passages.BEFORE) : i]) if o != d}
+    for n, size in ((1, 10_000), (4, 10_000), (16, 10_000), (40, 7)):
         spark.conf.set("spark.sql.shuffle.partitions", n)
         spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
         spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", size)
