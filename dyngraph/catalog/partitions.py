@@ -106,6 +106,19 @@ def part_vote_balance(spark: SparkSession, d: str) -> DataFrame:
     return partition.volumes(both, old, M)
 
 
+@query(_P + """, hv AS (SELECT fresh.vid, greatest(coalesce(deg, 1), 1) AS w FROM fresh LEFT JOIN d USING (vid)),
+ln AS (SELECT vid, CAST(sum(w) OVER (ORDER BY vid % 1024, vid) - w AS BIGINT) AS at FROM hv), tt AS (SELECT CAST(sum(w) AS BIGINT) AS t FROM hv),
+rk AS (SELECT part, CAST(vol AS BIGINT) AS vol, row_number() OVER o AS j, CAST(sum(vol) OVER o AS BIGINT) AS upto FROM vol WINDOW o AS (ORDER BY vol, part)),
+us AS (SELECT rk.* FROM rk, tt WHERE j * vol - upto < t), tp AS (SELECT max(j) AS k, arg_max(upto, j) AS u FROM us),
+iv AS (SELECT part, j, CAST(ceil((j * (t + u) - k * upto) / k) AS BIGINT) AS hi FROM us, tp, tt),
+st AS (SELECT part, hi, coalesce(lag(hi) OVER (ORDER BY j), 0) AS lo FROM iv)
+SELECT vid, part FROM ln JOIN st ON ln.at >= st.lo AND ln.at < st.hi""")
+def part_place_balance(spark: SparkSession, d: str) -> DataFrame:
+    """Balance-first placement of the new vertices: the lightest clients are filled to a common level of edge ends."""
+    _, both, old, new = _parts(spark, d)
+    return partition.place(both, new, old, None, partition.Config(M, primary="balance"))
+
+
 @query(_P + " SELECT vid, part FROM (SELECT fresh.vid, ldiv.part, row_number() OVER (PARTITION BY fresh.vid ORDER BY label_div DESC, vol, ldiv.part) AS r FROM fresh JOIN seg USING (vid) JOIN ldiv ON ldiv.y = seg.y JOIN vol ON vol.part = ldiv.part) WHERE r = 1")
 def part_vote_label(spark: SparkSession, d: str) -> DataFrame:
     _, both, old, new = _parts(spark, d)
@@ -238,7 +251,7 @@ def part_temporal_run(spark: SparkSession, d: str) -> DataFrame:
     prev = materialise(graphs.by_key(graphs.vertices(snapshots.at(e, 5)), M), "assignment")
     out = None
     for t in (6, 7, 8):
-        now = materialise(partition.advance(prev, snapshots.at(e, t), segments(spark, d), partition.Config(M, rounds=1)), "assignment")
+        now = materialise(partition.advance(prev, snapshots.at(e, t), segments(spark, d), partition.Config(M, rounds=1), M), "assignment")
         moved = now.join(prev.withColumnRenamed("part", "was"), "vid", "left").agg(F.count(F.lit(1)).alias("vertices"), F.count_if(F.col("part") != F.col("was")).alias("moved"))
         row = moved.select(F.lit(t).alias("snap"), "vertices", "moved")
         out = row if out is None else out.unionAll(row)

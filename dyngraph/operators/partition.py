@@ -8,7 +8,7 @@ the assignment of the round before; nothing that grows with vertices or edges re
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -25,13 +25,14 @@ class Config:
     """``primary`` is the objective of stage one: cut, balance or label."""
 
     clients: int = 4
+    target: int | None = None  # vertices a client; where set, the number of clients follows the graph
     primary: str = "cut"
     alpha: float = 0.5
     tau: float = 0.01
     max_new_cut: int = 0
     rounds: int = 5
     cap: float = 0.05
-    scope: str = "conflicts"
+    scope: str = "border"  # what stage two may move: conflicts, or conflicting and border vertices
     max_level: int = 64
 
 
@@ -40,9 +41,14 @@ def client_count(n: int, target: int = 2_000, lo: int = 2, hi: int = 100_000) ->
     return max(lo, min(hi, math.ceil(n / target)))
 
 
-def is_valid(prev: DataFrame | None, m: int) -> bool:
-    """An old partition is reused while the number of clients stays."""
-    return prev is not None and (prev.agg(F.max("part").alias("m")).first()["m"] or 0) < m and not prev.isEmpty()
+def is_valid(prev: DataFrame | None, was: int | None, m: int) -> bool:
+    """An old partition, made for ``was`` clients, is reused only while the number of clients stays the same."""
+    return prev is not None and was == m and not prev.isEmpty()
+
+
+def sized(e: DataFrame, cfg: Config) -> Config:
+    """``cfg`` with the number of clients that the graph asks for."""
+    return cfg if cfg.target is None else replace(cfg, clients=client_count(vertices(e).count(), cfg.target))
 
 
 def part_list(df: DataFrame, m: int) -> DataFrame:
@@ -136,10 +142,8 @@ def place(both: DataFrame, v: DataFrame, assigned: DataFrame, labels: DataFrame
     cast = votes(both, v, assigned)
     if cfg.primary == "cut":
         scored = cast.withColumn("score", F.col("votes").cast("double"))
-    elif cfg.primary == "balance":  # parts in order of volume, vertices dealt out in turn
-        order = vol.withColumn("slot", F.row_number().over(Window.orderBy("vol", "part")) - 1)  # clients rows only
-        turn = v.select("vid", F.pmod(F.xxhash64("vid"), F.lit(cfg.clients)).cast("int").alias("slot"))
-        return turn.join(F.broadcast(order), "slot").select("vid", "part")
+    elif cfg.primary == "balance":
+        return levelled(both, v, vol, cfg.clients)
     else:
         div = label_diversity(assigned, labels, cfg.clients)
         with_y = v.select("vid").join(labels, "vid")
@@ -150,6 +154,36 @@ def place(both: DataFrame, v: DataFrame, assigned: DataFrame, labels: DataFrame
     return best.select("vid", "part")
 
 
+def levelled(both: DataFrame, v: DataFrame, vol: DataFrame, m: int, buckets: int = 1024) -> DataFrame:
+    """(vid, part): vertices, each as heavy as its edge ends (one at least), poured into the lightest clients.
+
+    All clients below a common level are filled up to it, lightest first. Vertices get their place on the line of
+    cumulative weight in two levels (``buckets`` of ids, then within each), and the place says which client's stretch of
+    the line it falls into; the line is cut into as many pieces as clients, so that this join is one by equality.
+    """
+    deg = both.join(v.select(F.col("vid").alias("src")).distinct(), "src", "left_semi").groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("deg"))
+    heavy = v.select("vid").distinct().join(deg, "vid", "left").select("vid", F.greatest(F.coalesce("deg", F.lit(1)), F.lit(1)).cast("long").alias("w"), F.pmod("vid", F.lit(buckets)).alias("bucket"))
+    heavy = materialise(heavy, "weights")
+    sums = heavy.groupBy("bucket").agg(F.sum("w").alias("s"))
+    offsets = sums.select("bucket", (F.sum("s").over(Window.orderBy("bucket")) - F.col("s")).alias("before"))  # one row a bucket
+    within = F.sum("w").over(Window.partitionBy("bucket").orderBy("vid")) - F.col("w")
+    line = heavy.withColumn("at", within).join(F.broadcast(offsets), "bucket").select("vid", (F.col("at") + F.col("before")).alias("at"))
+    total = heavy.agg(F.coalesce(F.sum("w"), F.lit(0)).alias("t")).first()["t"]
+    order = Window.orderBy("vol", "part")  # clients only, here and below
+    ranked = vol.withColumn("j", F.row_number().over(order).cast("long")).withColumn("upto", F.sum("vol").over(order.rowsBetween(Window.unboundedPreceding, 0)))
+    used = materialise(ranked.filter(F.col("j") * F.col("vol") - F.col("upto") < total), "levels")
+    top = used.agg(F.max("j").alias("k"), F.max_by("upto", "j").alias("u")).first()
+    if top["k"] is None:
+        return v.select("vid", F.lit(0).alias("part")).limit(0)
+    # the level is (total + u) / k; a client's stretch ends where j times the level exceeds the volume so far
+    end = F.ceil((F.col("j") * F.lit(total + top["u"]) - F.lit(top["k"]) * F.col("upto")) / F.lit(top["k"]))
+    used = used.select("part", end.cast("long").alias("hi"), F.coalesce(F.lag(end).over(Window.orderBy("j")), F.lit(0)).cast("long").alias("lo"))
+    piece = -(-total // m)
+    pieces = used.filter("lo < hi").withColumn("piece", F.explode(F.sequence(F.floor(F.col("lo") / piece), F.floor((F.col("hi") - 1) / piece))))
+    dealt = line.withColumn("piece", F.floor(F.col("at") / piece)).join(pieces, "piece").filter("at >= lo and at < hi")
+    return dealt.select("vid", "part")
+
+
 def lightest(both: DataFrame, v: DataFrame, assigned: DataFrame, m: int) -> DataFrame:
     """(vid, part): everything into the client with the least edge volume."""
     part = volumes(both, assigned, m).agg(F.min_by("part", F.struct("vol", "part")).alias("part"))
@@ -269,21 +303,25 @@ def two_hop(both: DataFrame, v: DataFrame) -> DataFrame:
     return near.join(both.select(F.col("src").alias("dst"), F.col("dst").alias("far")), "dst").filter("src <> far").select("src", F.col("far").alias("dst")).distinct()
 
 
-def advance(prev: DataFrame | None, e: DataFrame, labels: DataFrame | None = None, cfg: Config | None = None) -> DataFrame:
-    """One snapshot on: extend a valid partition, else start anew."""
+def advance(prev: DataFrame | None, e: DataFrame, labels: DataFrame | None = None, cfg: Config | None = None, was: int | None = None) -> DataFrame:
+    """One snapshot on: extend a partition made for the same number of clients (``was``), else start anew."""
     cfg = cfg or Config()
-    return extend(prev, e, labels, cfg) if is_valid(prev, cfg.clients) else initial(e, labels, cfg)
+    return extend(prev, e, labels, cfg) if is_valid(prev, was, cfg.clients) else initial(e, labels, cfg)
 
 
 def run(edges: DataFrame, last: int, labels: DataFrame | None = None, cfg: Config | None = None, full: bool = False) -> DataFrame:
-    """(snap, vid, part) over snapshots 0..last; ``full`` partitions each from scratch. A loop over snapshots, one plan each."""
+    """(snap, vid, part, clients) over snapshots 0..last; ``full`` partitions each from scratch. A loop over snapshots, one
+    plan each; the number of clients is taken anew for each snapshot, and a change of it starts anew."""
     from .snapshots import at
 
-    prev, out = None, None
+    cfg = cfg or Config()
+    prev, out, was = None, None, None
     for t in range(last + 1):
         now = at(edges, t)
-        prev = initial(now, labels, cfg) if full else advance(prev, now, labels, cfg)
+        cfg = sized(now, cfg)
+        prev = initial(now, labels, cfg) if full else advance(prev, now, labels, cfg, was)
         prev = materialise(prev.select("vid", "part"), "assignment")
-        row = prev.select(F.lit(t).alias("snap"), "vid", "part")
+        was = cfg.clients
+        row = prev.select(F.lit(t).alias("snap"), "vid", "part", F.lit(was).alias("clients"))
         out = row if out is None else out.unionAll(row)
     return out

@@ -147,14 +147,15 @@ def multilevel(e: DataFrame, m: int, slack: float = 0.1, coarse: int = 2_000, ma
         pairs = matching(work)
         to = materialise(size.select("vid").join(pairs.select(F.col("b").alias("vid"), F.col("a").alias("to")), "vid", "left").select("vid", F.coalesce("to", "vid").alias("to")), "levels")
         size = materialise(size.join(to, "vid").groupBy(F.col("to").alias("vid")).agg(F.sum("size").alias("size")), "sizes")
-        if size.count() > 0.95 * n:
-            to = materialise(size.select("vid", F.pmod(F.xxhash64("vid"), F.lit(coarse)).alias("to")), "levels") if n > 4 * coarse else to
-            if n > 4 * coarse:
-                size = materialise(size.join(to, "vid").groupBy(F.col("to").alias("vid")).agg(F.sum("size").alias("size")), "sizes")
+        stalled = size.count() > 0.95 * n
+        if stalled and n > 4 * coarse:
+            into = size.select(F.col("vid").alias("to"), F.pmod(F.xxhash64("vid"), F.lit(coarse)).alias("into"))
+            size = materialise(size.join(into.withColumnRenamed("to", "vid"), "vid").groupBy(F.col("into").alias("vid")).agg(F.sum("size").alias("size")), "sizes")
+            to = materialise(to.join(into, "to").select("vid", F.col("into").alias("to")), "levels")  # after the matching
         maps.append(to)
         la = work.join(to.select(F.col("vid").alias("a"), F.col("to").alias("la")), "a").join(to.select(F.col("vid").alias("b"), F.col("to").alias("lb")), "b")
         work = materialise(la.filter("la <> lb").groupBy(F.least("la", "lb").alias("a"), F.greatest("la", "lb").alias("b")).agg(F.sum("w").alias("w")), "graph")
-        if maps and size.count() > 0.95 * n:
+        if stalled:
             break
     one = F.lit(0).alias("g")
 
