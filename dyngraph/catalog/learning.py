@@ -145,8 +145,8 @@ def ev_cut_edge_task(spark: SparkSession, d: str) -> DataFrame:
     return evaluate.cut_edge_task(ee, asg, "cut", M)
 
 
-_BIAS = sql.base("trade", where="first <= 40") + f""", nx AS MATERIALIZED (SELECT DISTINCT a AS query, b AS cand FROM ({sql.edges('trade')}) WHERE first = 41 AND a % 8 = 0),
-q AS (SELECT DISTINCT query FROM nx), cd AS (SELECT vid AS cand FROM v WHERE vid % 8 = 2 AND (vid // 8) % 20 = 0),
+_BIAS = sql.base("trade", where="first <= 40") + f""", nx AS MATERIALIZED (SELECT DISTINCT a AS query, b AS cand FROM ({sql.edges('trade')}) WHERE first = 41 AND a % 8 = 0 AND (a // 8) % 100 = 0),
+q AS (SELECT DISTINCT query FROM nx), cd AS (SELECT vid AS cand FROM v WHERE vid % 8 = 2),
 sc AS MATERIALIZED (SELECT query, cand, CAST(max(y) AS INTEGER) AS y FROM (SELECT query, cand, 1 AS y FROM nx UNION ALL SELECT query, cand, 0 FROM q CROSS JOIN cd) GROUP BY 1, 2),
 r AS (SELECT query, y, row_number() OVER w AS rank, sum(y) OVER w AS hits FROM sc LEFT JOIN d ON d.vid = sc.cand WINDOW w AS (PARTITION BY query ORDER BY coalesce(deg, 0) DESC, cand))
 SELECT round(avg(rr), 6) AS mrr, round(avg(ap), 6) AS map FROM (SELECT query, 1 / min(rank) AS rr, avg(hits / rank) AS ap FROM r WHERE y = 1 GROUP BY 1)"""
@@ -154,11 +154,12 @@ SELECT round(avg(rr), 6) AS mrr, round(avg(ap), 6) AS map FROM (SELECT query, 1
 
 @query(_BIAS)
 def ev_degree_bias(spark: SparkSession, d: str) -> DataFrame:
-    """Ranking parts for a customer by degree alone: the probe that tells mean reciprocal rank from mean precision."""
+    """Ranking all parts for the customers whose key is divisible by 100 by degree alone: the probe that tells mean
+    reciprocal rank from mean precision."""
     e = materialise(graphs.edges(spark, d, "trade"), "edges")
     past = snapshots.at(e, 40)
-    pos = e.filter("first = 41 and a % 8 = 0").select(F.col("a").alias("query"), F.col("b").alias("cand")).distinct()
-    every = graphs.vertices(past).filter((F.col("vid") % 8 == 2) & (graphs.key_of("vid") % 20 == 0)).select(F.col("vid").alias("cand"))
+    pos = e.filter("first = 41 and a % 8 = 0 and (a div 8) % 100 = 0").select(F.col("a").alias("query"), F.col("b").alias("cand")).distinct()
+    every = graphs.vertices(past).filter(F.col("vid") % 8 == 2).select(F.col("vid").alias("cand"))
     grid = pos.select("query").distinct().join(F.broadcast(every))  # a stated candidate set for each query
     labelled = pos.withColumn("y", F.lit(1)).unionAll(grid.withColumn("y", F.lit(0))).groupBy("query", "cand").agg(F.max("y").alias("y"))
     sc = materialise(evaluate.degree_scores(graphs.symmetric(past), labelled), "scores")
@@ -209,6 +210,8 @@ def trained(spark: SparkSession, d: str, s: trainer.Settings, classes: int = 5,
 RUNS = {
     "fed_train_link": BASE,
     "fed_train_class": replace(BASE, task="class"),
+    "fed_two_hop": replace(BASE, task="class", hops=2),
+    "fed_schedule_first_epoch": replace(BASE, task="class", schedule=exchange.Schedule("first", "all")),
     "fed_no_exchange": replace(BASE, scheme="none"),
     "fed_feature_sum": replace(BASE, scheme="feature_sum"),
     "fed_full_retrain": replace(BASE, mode="full", schedule=exchange.Schedule("last", "all")),
@@ -259,12 +262,14 @@ def train_classify_f1(spark: SparkSession, d: str) -> DataFrame:
 
 @query()
 def train_link_ranking(spark: SparkSession, d: str) -> DataFrame:
-    """Reciprocal rank and precision of next-snapshot links after a run, queries being customers with a new link."""
+    """Reciprocal rank and precision of next-snapshot links after a run: customers whose key is divisible by 100 and that
+    get a link are queries against all customers."""
     e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
     asg = materialise(graphs.by_key(graphs.vertices(e), M), "assignment")
     states, _, _ = trainer.live_update(e, 3, _features(spark, d, e), None, asg, BASE, 2, first=2)
-    pos = snapshots.delta(e, 4).select(F.col("a").alias("query"), F.col("b").alias("cand"))
-    cands = graphs.vertices(snapshots.at(e, 3)).filter(graphs.key_of("vid") % 20 == 0).select(F.col("vid").alias("cand"))
+    new = snapshots.delta(e, 4).select("a", "b")
+    pos = new.unionAll(new.select("b", "a")).toDF("query", "cand").filter(graphs.key_of("query") % 100 == 0)
+    cands = graphs.vertices(snapshots.at(e, 3)).select(F.col("vid").alias("cand"))
     grid = pos.select("query").distinct().join(F.broadcast(cands)).filter("query <> cand")
     pairs = pos.withColumn("y", F.lit(1)).unionAll(grid.withColumn("y", F.lit(0))).groupBy(F.col("query").alias("u"), F.col("cand").alias("v")).agg(F.max("y").alias("y"))
     sc = materialise(evaluate.dot_scores(states[-1], pairs).select(F.col("u").alias("query"), F.col("v").alias("cand"), "score", "y"), "scores")

@@ -31,6 +31,18 @@ def step(cur: np.ndarray, prev: np.ndarray, w: dict[str, np.ndarray]) -> np.ndar
     return (1 - z) * prev + z * h
 
 
+def step_gradient(cur: np.ndarray, prev: np.ndarray, w: dict[str, np.ndarray], out: np.ndarray) -> tuple[np.ndarray, dict[str, np.ndarray]]:
+    """Gradients of ``step`` for the gradient ``out`` of its result: by the input, and by all gates. ``prev`` is given."""
+    z = _sigmoid(cur @ w["wz"] + prev @ w["uz"] + w["bz"])
+    r = _sigmoid(cur @ w["wr"] + prev @ w["ur"] + w["br"])
+    h = np.tanh(cur @ w["wh"] + (r * prev) @ w["uh"] + w["bh"])
+    by_h = out * z * (1 - h**2)
+    by = {"z": out * (h - prev) * z * (1 - z), "r": (by_h @ w["uh"].T) * prev * r * (1 - r), "h": by_h}
+    seen = {"z": prev, "r": prev, "h": r * prev}
+    grad = {f"w{g}": cur.T @ e for g, e in by.items()} | {f"u{g}": seen[g].T @ e for g, e in by.items()} | {f"b{g}": e.sum(axis=0) for g, e in by.items()}
+    return sum(e @ w[f"w{g}"].T for g, e in by.items()), grad
+
+
 def gru(cur: DataFrame, prev: DataFrame, w: dict[str, np.ndarray]) -> DataFrame:
     """(vid, x): current layer output fused with the previous state; a missing state is zero."""
     d = len(w["bz"])

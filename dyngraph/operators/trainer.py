@@ -25,11 +25,14 @@ Model = dict[str, np.ndarray]
 
 @dataclass(frozen=True)
 class Settings:
-    """``mode``: incremental or full. ``scheme``: how remote neighbours count (none, feature_sum, exchange)."""
+    """``mode``: incremental or full. ``scheme``: how remote neighbours count (none, feature_sum, exchange). ``hops``: 1
+    corrects the first layer's sums; 2 trains on two-hop sums with their complete correction, which are exact.
+    ``cell``: the last layer passes through a gated recurrent cell with the state of the snapshot before, or not."""
 
     task: str = "link"
     hidden: int = 8
     layers: int = 2
+    hops: int = 1
     rounds: int = 3
     epochs: int = 3
     rate: float = 0.1
@@ -51,21 +54,33 @@ def model(d: int, classes: int, s: Settings) -> Model:
     rng = np.random.default_rng(s.seed)
     sizes = [d] + [s.hidden] * s.layers
     out = {f"w{i}": rng.normal(scale=sizes[i] ** -0.5, size=(sizes[i], sizes[i + 1])) for i in range(s.layers)}
-    return out | {"out": rng.normal(scale=s.hidden**-0.5, size=(s.hidden, classes))}
+    out |= {"out": rng.normal(scale=s.hidden**-0.5, size=(s.hidden, classes))}
+    return out | ({f"g_{k}": v for k, v in recurrent.weights(s.hidden, s.seed).items()} if s.cell == "gru" else {})
 
 
-def forward(edges: DataFrame, feats: DataFrame, weights: list[np.ndarray], how: str = "sum", rings: DataFrame | None = None, before: list[DataFrame] | None = None, gates: list[dict] | None = None, act: str = "relu", recurrent_input: str = "hidden") -> list[DataFrame]:
+def gates_of(m: Model) -> dict[str, np.ndarray] | None:
+    """The gates of the last layer's cell, if the model has one."""
+    return {k[2:]: v for k, v in m.items() if k.startswith("g_")} or None
+
+
+def forward(edges: DataFrame, feats: DataFrame, weights: list[np.ndarray], how: str = "sum", rings: DataFrame | None = None, before: list[DataFrame] | None = None, gates: list[dict] | None = None, act: str = "relu", recurrent_input: str = "hidden", last_act: str | None = None) -> list[DataFrame]:
     """States (vid, x) after each layer. With ``rings`` (layer, vid) only those are computed and ``before`` fills the rest.
 
-    ``gates`` fuse each layer with its states in ``before``. ``recurrent_input='raw'`` feeds the next layer the plain output.
+    ``gates`` fuse a layer with its states in ``before`` (zero where there are none); None leaves the layer as it is.
+    ``how='own'`` takes ``feats`` for sums already. ``recurrent_input='raw'`` feeds the next layer the plain output.
     """
     both = symmetric(edges.select("a", "b", F.lit(0).alias("first")))
     h, out = feats.select("vid", F.col("x").cast("array<double>").alias("x")), []
     for layer, w in enumerate(weights, 1):
         todo = rings.filter(F.col("layer") == layer).select("vid") if rings is not None else None
-        raw = message.dense(message.aggregate(both, h, how, todo, d=w.shape[0]), w, act)
+        if how == "own":
+            summed = h.join(todo.select("vid").distinct(), "vid", "left_semi") if todo is not None else h
+        else:
+            summed = message.aggregate(both, h, how, todo, d=w.shape[0])
+        raw = message.dense(summed, w, act if layer < len(weights) else last_act or act)
         prev = before[layer - 1] if before else None
-        new = recurrent.gru(raw, prev, gates[layer - 1]) if gates and prev is not None else raw
+        gate = gates[layer - 1] if gates else None
+        new = recurrent.gru(raw, prev if prev is not None else raw.limit(0), gate) if gate else raw
         new = materialise(new, "layer")
         full = recurrent.assemble(new, prev) if prev is not None and todo is not None else new
         out.append(full)
@@ -77,7 +92,14 @@ def forward(edges: DataFrame, feats: DataFrame, weights: list[np.ndarray], how:
 
 
 def _adjacency(n: int, src: np.ndarray, dst: np.ndarray, how: str) -> Callable[[np.ndarray], np.ndarray]:
-    """Multiplication by the normalised adjacency with self-loops, without forming it."""
+    """Multiplication by the normalised adjacency with self-loops, without forming it; ``own``: by the identity."""
+    if how == "own":
+
+        def same(x: np.ndarray) -> np.ndarray:
+            return x
+
+        same.back = same
+        return same
     deg = 1.0 + np.bincount(src, minlength=n)
 
     def mul(x: np.ndarray) -> np.ndarray:
@@ -95,11 +117,13 @@ def _adjacency(n: int, src: np.ndarray, dst: np.ndarray, how: str) -> Callable[[
     return mul
 
 
-def loss_and_gradient(m: Model, x: np.ndarray, mul, task: str, y: np.ndarray, pairs: np.ndarray | None, extra: np.ndarray | None = None) -> tuple[float, Model]:
+def loss_and_gradient(m: Model, x: np.ndarray, mul, task: str, y: np.ndarray, pairs: np.ndarray | None, extra: np.ndarray | None = None, prev: np.ndarray | None = None) -> tuple[float, Model]:
     """Mean loss and its gradient by hand: softmax cross-entropy over labelled rows (y >= 0), or logistic over pairs (u, v, y).
 
-    ``extra`` is added to the first layer's aggregate: what other clients' vertices would have sent.
+    ``extra`` is added to the first layer's aggregate: what other clients' vertices would have sent. Where the model has
+    gates, the last layer is fused with the previous states ``prev`` (zero if not given), which are constants here.
     """
+    gates = gates_of(m)
     layers = len([k for k in m if k.startswith("w")])
     zs, hs = [], [x]
     for i in range(layers):
@@ -108,7 +132,9 @@ def loss_and_gradient(m: Model, x: np.ndarray, mul, task: str, y: np.ndarray, pa
             z = z + extra
         zs.append(z)
         hs.append(np.maximum(z @ m[f"w{i}"], 0.0) if i < layers - 1 else z @ m[f"w{i}"])
-    h, grad = hs[-1], {k: np.zeros_like(v) for k, v in m.items()}
+    raw, grad = hs[-1], {k: np.zeros_like(v) for k, v in m.items()}
+    prev = np.zeros_like(raw) if prev is None else prev
+    h = recurrent.step(raw, prev, gates) if gates else raw
     if task == "class":
         rows = np.flatnonzero(y >= 0)
         if not len(rows):
@@ -134,6 +160,9 @@ def loss_and_gradient(m: Model, x: np.ndarray, mul, task: str, y: np.ndarray, pa
         gh = np.zeros_like(h)
         np.add.at(gh, u, e * h[v])
         np.add.at(gh, v, e * h[u])
+    if gates:
+        gh, by_gate = recurrent.step_gradient(raw, prev, gates, gh)
+        grad |= {f"g_{k}": v for k, v in by_gate.items()}
     for i in range(layers - 1, -1, -1):
         if i < layers - 1:
             gh = gh * (hs[i + 1] > 0)
@@ -155,8 +184,11 @@ def _pairs(src: np.ndarray, dst: np.ndarray, n: int, rng: np.random.Generator) -
     return np.concatenate([np.c_[u, v, np.ones_like(u)], np.c_[a, b, np.zeros_like(a)]])
 
 
-def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model, s: Settings) -> pd.DataFrame:
-    """All epochs of one client; returns its model as rows (part, weight, loss, name, data)."""
+def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model, s: Settings, received: list[bool] | None = None) -> pd.DataFrame:
+    """All epochs of one client; returns its model as rows (part, weight, loss, name, data).
+
+    ``received`` says for each epoch whether corrections have reached the client by then.
+    """
     part = int(nodes["part"].iloc[0]) if len(nodes) else int(pairs["part"].iloc[0])
     rows = lambda w, loss, mm: pd.DataFrame({"part": part, "weight": float(w), "loss": float(loss), "name": list(mm), "data": [v.ravel().tolist() for v in mm.values()]})
     if not len(nodes):
@@ -170,16 +202,18 @@ def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model
     extra = np.stack(nodes["extra"].to_numpy()).astype(np.float64)
     if s.generate:  # missing neighbours stand in with the client's mean feature
         extra = extra + x.mean(axis=0)
-    mul = _adjacency(len(nodes), src, dst, s.aggregate)
-    if s.aggregate == "mean":
+    prev = np.stack(nodes["prev"].to_numpy()).astype(np.float64)
+    mul = _adjacency(len(nodes), src, dst, "own" if s.hops == 2 else s.aggregate)
+    if s.aggregate == "mean" and s.hops == 1:
         extra = extra / (1.0 + np.bincount(src, minlength=len(nodes)))[:, None]
     y = np.where(nodes["train"].to_numpy(bool), nodes["y"].fillna(-1).to_numpy(np.int64), -1)
     rng = np.random.default_rng(s.seed + part)
     told = _pairs(src, dst, len(nodes), rng) if s.task == "link" else None
     m = {k: v.copy() for k, v in m.items()}
     loss = 0.0
-    for _ in range(s.epochs):
-        loss, g = loss_and_gradient(m, x, mul, s.task, y, told, extra)
+    none = np.zeros_like(extra)
+    for e in range(s.epochs):
+        loss, g = loss_and_gradient(m, x, mul, s.task, y, told, extra if received is None or received[e] else none, prev)
         for k in m:
             step = g[k] + (s.importance * (m[k] - anchor[k]) if s.importance else 0.0)
             size = float(np.sqrt((step**2).sum()))
@@ -187,14 +221,14 @@ def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model
     return rows(len(nodes), loss, m)
 
 
-def _stepper(held, ring: bool, s: Settings) -> Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame]:
+def _stepper(held, ring: bool, s: Settings, received: list[bool]) -> Callable[[pd.DataFrame, pd.DataFrame], pd.DataFrame]:
     """The function of one round: models come from the broadcast ``held``."""
 
     def work(nodes: pd.DataFrame, pairs: pd.DataFrame) -> pd.DataFrame:
         m, anchor, own = held.value
         if ring and own and len(nodes):
             m = own[int(nodes["part"].iloc[0]) % len(own)]
-        return local_step(nodes, pairs, m, anchor, s)
+        return local_step(nodes, pairs, m, anchor, s, received)
 
     return work
 
@@ -215,10 +249,12 @@ def normalised(feats: DataFrame, d: int) -> DataFrame:
     return feats.select("vid", F.array(*[(F.get("x", F.lit(i)) - F.lit(float(stats[f"m{i}"] or 0))) / F.lit(float(stats[f"s{i}"] or 1) or 1.0) for i in range(d)]).alias("x"))
 
 
-def fit(edges: DataFrame, t: int, feats: DataFrame, labels: DataFrame | None, assigned: DataFrame, m: Model, s: Settings, d: int) -> tuple[Model, list[dict]]:
+def fit(edges: DataFrame, t: int, feats: DataFrame, labels: DataFrame | None, assigned: DataFrame, m: Model, s: Settings, d: int, before: DataFrame | None = None) -> tuple[Model, list[dict]]:
     """Trains on snapshot t; returns the averaged model and a log with the loss of each round.
 
-    Each client gets its vertices of the region, with features, labels and the corrections that the schedule allows.
+    Each client gets its vertices of the region, with features, labels, the last layer's states ``before`` and the
+    corrections. These count from the epoch at which the schedule lets them arrive, and in all epochs and rounds after
+    it: an exchange in a first epoch serves that epoch already, one after a last epoch serves the next round.
     """
     now = at(edges, t)
     every = vertices(now)
@@ -235,22 +271,35 @@ def fit(edges: DataFrame, t: int, feats: DataFrame, labels: DataFrame | None, as
         extra = scope.select("vid", zero.alias("extra"))
         if s.scheme == "feature_sum":  # the sums take the place of the features
             feats = exchange.feature_sum(ee, feats, "owner", d)
+    elif s.hops == 2:
+        extra = exchange.hop2(ee, feats, "complete", scope, d).select("vid", F.col("x").alias("extra"))
     else:
         extra = exchange.hop1(ee, feats, scope, d).select("vid", F.col("x").alias("extra"))
+    scale = 1.0
+    if s.hops == 2:
+        feats, scale = exchange.local_states(ee, feats, 2, d), two_hop_scale(now)
+    states = (before if before is not None else scope.limit(0).withColumn("x", F.lit([0.0]))).select("vid", F.col("x").alias("prev"))
+    still = F.lit([0.0] * s.hidden)
+    scaled = lambda c: F.transform(c, lambda v: v * F.lit(scale))
     y = labels if labels is not None else every.select("vid", F.lit(-1).alias("y"))
-    nodes = scope.join(assigned, "vid").join(feats, "vid").join(extra, "vid", "left").join(y, "vid", "left")
-    nodes = materialise(nodes.select("part", "vid", "x", F.coalesce("extra", zero).alias("extra"), F.coalesce("y", F.lit(-1)).cast("long").alias("y"), (F.pmod(F.xxhash64("vid"), F.lit(10)) < 7).alias("train")), "nodes")
+    nodes = scope.join(assigned, "vid").join(feats, "vid").join(extra, "vid", "left").join(y, "vid", "left").join(states, "vid", "left")
+    nodes = materialise(nodes.select("part", "vid", scaled("x").alias("x"), scaled(F.coalesce("extra", zero)).alias("extra"), F.coalesce("prev", still).alias("prev"), F.coalesce("y", F.lit(-1)).cast("long").alias("y"), (F.pmod(F.xxhash64("vid"), F.lit(10)) < 7).alias("train")), "nodes")
     pairs = materialise(clients.local(ee).join(scope.select(F.col("vid").alias("src")), "src", "left_semi").select(F.col("pu").alias("part"), "src", "dst"), "pairs")
     shapes = {k: v.shape for k, v in m.items()}
     spark, anchor, log = edges.sparkSession, m, []
     locals_: list[Model] | None = None
+    arrived = s.scheme == "feature_sum"
     for r in range(1, s.rounds + 1):
-        fired = s.scheme != "none" and any(s.schedule.fires(e, r, s.epochs, s.rounds) for e in range(1, s.epochs + 1))
-        n = nodes if fired or s.scheme == "feature_sum" else nodes.withColumn("extra", zero)
+        fires = [s.scheme == "exchange" and s.schedule.fires(e, r, s.epochs, s.rounds) for e in range(1, s.epochs + 1)]
+        fired, received = any(fires), []
+        for e in fires:
+            arrived = arrived or (e and s.schedule.epoch == "first")
+            received.append(arrived)
+        arrived = arrived or fired
         held = spark.sparkContext.broadcast((m, anchor, locals_))
         ring = s.averaging == "ring"
 
-        rows = n.groupBy("part").cogroup(pairs.groupBy("part")).applyInPandas(_stepper(held, ring, s), "part int, weight double, loss double, name string, data array<double>").collect()  # client models only
+        rows = nodes.groupBy("part").cogroup(pairs.groupBy("part")).applyInPandas(_stepper(held, ring, s, received), "part int, weight double, loss double, name string, data array<double>").collect()  # client models only
         models, weights, losses = _unpack(rows, shapes)
         if not models:
             break
@@ -267,8 +316,19 @@ def embeddings(edges: DataFrame, t: int, feats: DataFrame, m: Model, s: Settings
     rings = None
     if before is not None and s.mode == "incremental":
         rings = materialise(region.rings(at(edges, t), region.seeds(edges, t), s.layers), "rings")
-    gates = [recurrent.weights(s.hidden, s.seed + i) for i in range(s.layers)] if s.cell == "gru" else None
-    return [materialise(h, "state") for h in forward(at(edges, t), feats, weights, s.aggregate, rings, before, gates)]
+    gates = [None] * (s.layers - 1) + [gates_of(m)]
+    now, how = at(edges, t), s.aggregate
+    if s.hops == 2:  # the clients' corrected sums equal those over the whole graph
+        both = symmetric(now.select("a", "b", F.lit(0).alias("first")))
+        scale, how = two_hop_scale(now), "own"
+        feats = exchange.truth(both, feats, 2, d).select("vid", F.transform("x", lambda v: v * F.lit(scale)).alias("x"))
+    return [materialise(h, "state") for h in forward(now, feats, weights, how, rings, before, gates, last_act="identity")]
+
+
+def two_hop_scale(now: DataFrame) -> float:
+    """One over the square of the mean closed degree, by which two-hop sums are brought to the scale of features."""
+    edges_, vertices_ = now.count(), vertices(now).count()
+    return (1.0 + 2.0 * edges_ / max(1, vertices_)) ** -2
 
 
 def evolved(m: Model, s: Settings, t: int) -> Model:
@@ -290,7 +350,7 @@ def live_update(edges: DataFrame, last: int, feats: DataFrame, labels: DataFrame
         if s.evolve and t > first:
             m = evolved(m, s, t)
         settings = s if t > first else replace(s, mode="full")
-        m, rounds = fit(edges, t, feats, labels, assigned, m, settings, d)
+        m, rounds = fit(edges, t, feats, labels, assigned, m, settings, d, before[-1] if before else None)
         before = embeddings(edges, t, feats, m, settings, before, d)
         log += [{"snap": t, **x} for x in rounds]
     return before, log, m

@@ -5,7 +5,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from dyngraph.functions import evaluate
-from dyngraph.operators import partition, partition_rivals, primitives, recurrent, region, snapshots, trainer
+from dyngraph.operators import exchange, partition, partition_rivals, primitives, recurrent, region, snapshots, trainer
 from dyngraph.sources import graphs
 
 
@@ -71,7 +71,7 @@ def test_extension_keeps_old_vertices_and_places_chains(spark):
 
 def test_changed_client_count_starts_anew(spark):
     prev = spark.createDataFrame([(1, 0), (2, 5)], "vid long, part int")
-    assert not partition.is_valid(prev, 4) and partition.is_valid(prev, 6) and not partition.is_valid(None, 4)
+    assert not partition.is_valid(prev, 6, 4) and not partition.is_valid(prev, 4, 5) and partition.is_valid(prev, 6, 6) and not partition.is_valid(None, 4, 4)
 
 
 def test_modularity_finds_two_cliques(spark):
@@ -124,3 +124,55 @@ def test_hub_and_duplicates_make_one_edge_each(spark):
     ev = spark.createDataFrame([(1, 2, 3), (2, 1, 1), (1, 1, 0)] + [(0, i, 0) for i in range(3, 50)], "x long, y long, snap int")
     e = graphs.undirected(ev)
     assert e.count() == 48 and e.filter("a = 1 and b = 2").first()["first"] == 1
+
+
+def test_balance_first_fills_the_lightest(spark):
+    both = spark.createDataFrame([(i, 1000 + i) for i in range(59)] + [(2000 + i, 3000 + i) for i in range(40)], "src long, dst long")
+    both = both.unionAll(both.select("dst", "src"))
+    held = spark.createDataFrame([(i, 0) for i in range(59)], "vid long, part int")
+    new = spark.createDataFrame([(2000 + i,) for i in range(40)], "vid long")
+    got = partition.place(both, new, held, None, partition.Config(4, primary="balance")).groupBy("part").count().collect()
+    assert sorted((r["part"], r["count"]) for r in got) == [(1, 14), (2, 13), (3, 13)]
+    assert partition.place(both, new.limit(0), held, None, partition.Config(4, primary="balance")).isEmpty()
+
+
+def test_multilevel_keeps_every_vertex_where_matching_stalls(spark):
+    e = spark.createDataFrame([(0, i) for i in range(1, 101)] + [(200, 201), (202, 203)], "a long, b long")
+    got = partition_rivals.multilevel(e, 2, coarse=5)
+    assert got.count() == got.select("vid").distinct().count() == 105
+
+
+def test_gradient_of_the_cell_by_differences():
+    rng = np.random.default_rng(2)
+    s = trainer.Settings(hidden=3, layers=2)
+    m = trainer.model(2, 3, s)
+    x, prev, y = rng.normal(size=(5, 2)), rng.normal(size=(5, 3)), np.array([0, 1, 2, -1, 0])
+    mul = trainer._adjacency(5, np.array([0, 1, 2, 3]), np.array([1, 0, 3, 2]), "mean")
+    _, g = trainer.loss_and_gradient(m, x, mul, "class", y, None, None, prev)
+    assert {"g_wz", "g_uh", "g_br"} <= set(g)
+    for k in m:
+        for i in range(m[k].size):
+            up, down = ({n: v.copy() for n, v in m.items()} for _ in range(2))
+            up[k].flat[i] += 1e-6
+            down[k].flat[i] -= 1e-6
+            num = (trainer.loss_and_gradient(up, x, mul, "class", y, None, None, prev)[0] - trainer.loss_and_gradient(down, x, mul, "class", y, None, None, prev)[0]) / 2e-6
+            assert abs(num - g[k].flat[i]) < 1e-5, (k, i)
+
+
+def test_schedules_cell_and_hops_change_the_training(spark, sf):
+    from dataclasses import replace
+
+    from dyngraph.catalog import learning
+    from dyngraph.sources import graphs
+    from dyngraph.sources.tables import materialise
+
+    e = materialise(graphs.edges(spark, sf, "copurchase"), "edges")
+    asg = materialise(graphs.by_key(graphs.vertices(e), 3), "assignment")
+    base = trainer.Settings(task="class", hidden=4, rounds=2, epochs=2)
+    feats, y = learning._features(spark, sf, e), learning.segments(spark, sf)
+    loss = {}
+    for name, s in (("none", replace(base, scheme="none")), ("last", base), ("first", replace(base, schedule=exchange.Schedule("first", "all"))), ("plain", replace(base, cell="")), ("two", replace(base, hops=2))):
+        _, log, _ = trainer.live_update(e, 9, feats, y, asg, s, 5, first=8)
+        loss[name] = [round(r["loss"], 9) for r in log]
+    assert loss["none"][0] == loss["last"][0] != loss["first"][0]  # an exchange after the last epoch serves the next round
+    assert loss["none"][1] != loss["last"][1] and len({tuple(v) for v in loss.values()}) == 5
