@@ -257,7 +257,59 @@ def train_classify_f1(spark: SparkSession, d: str) -> DataFrame:
     asg = materialise(graphs.by_key(graphs.vertices(e), M), "assignment")
     y = statuses(spark, d)
     states, _, m = trainer.live_update(e, 3, f, y, asg, replace(BASE, task="class"), 3, first=2)
-    return evaluate.f1(trainer.classify(states[-1], m).join(y, "vid").select("y", "yhat"))
+    return evaluate.f1(_held_out(trainer.classify(states[-1], m).join(y, "vid")).select("y", "yhat"))
+
+
+def _held_out(df: DataFrame) -> DataFrame:
+    """The vertices that ``trainer.fit`` leaves out of training."""
+    return df.filter(F.pmod(F.xxhash64("vid"), F.lit(10)) >= 7)
+
+
+def _ranked(e: DataFrame, h: DataFrame, t: int) -> DataFrame:
+    """mrr, map and accuracy of the links that are new at snapshot t, by dot products of the states h: vertices whose key is
+    divisible by 100 and that get a link are queries against all vertices before t."""
+    new = snapshots.delta(e, t).select("a", "b")
+    pos = new.unionAll(new.select("b", "a")).toDF("query", "cand").filter(graphs.key_of("query") % 100 == 0)
+    cands = graphs.vertices(snapshots.at(e, t - 1)).select(F.col("vid").alias("cand"))
+    grid = pos.select("query").distinct().join(F.broadcast(cands)).filter("query <> cand")
+    pairs = pos.withColumn("y", F.lit(1)).unionAll(grid.withColumn("y", F.lit(0))).groupBy(F.col("query").alias("u"), F.col("cand").alias("v")).agg(F.max("y").alias("y"))
+    sc = materialise(evaluate.dot_scores(h, pairs).select(F.col("u").alias("query"), F.col("v").alias("cand"), "score", "y"), "scores")
+    return evaluate.mrr(sc).join(F.broadcast(evaluate.map_by_query(sc).select("map"))).join(F.broadcast(evaluate.accuracy(sc).select("accuracy")))
+
+
+def _stacked(rows: list[DataFrame]) -> DataFrame:
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionByName(r)
+    return out
+
+
+@query()
+def study_link_models(spark: SparkSession, d: str) -> DataFrame:
+    """Live update: each model is trained up to snapshot 6, validated on the links of 7 and tested on those of 8."""
+    e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
+    f, out = _features(spark, d, e), []
+    for name in ("fed_train_link", "fed_no_exchange", "fed_feature_sum", "rival_conv_plain", "rival_conv_recurrent", "rival_weight_evolve_o"):
+        asg = materialise(graphs.by_key(graphs.vertices(e), 1 if name in _CENTRAL else M), "assignment")
+        states, _, _ = trainer.live_update(e, 6, f, None, asg, RUNS[name], 2, first=5)
+        out += [_ranked(e, states[-1], t).select(F.lit(name).alias("model"), F.lit(role).alias("role"), "*") for role, t in (("validate", 7), ("test", 8))]
+    return _stacked(out)
+
+
+@query()
+def study_class_models(spark: SparkSession, d: str) -> DataFrame:
+    """F1 of held-out customers at snapshot 8 by model, exchange schedule and hops, with the exchanges that took place."""
+    e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
+    asg = materialise(graphs.by_key(graphs.vertices(e), M), "assignment")
+    f, y, out = _features(spark, d, e), materialise(segments(spark, d), "labels"), []
+    base = RUNS["fed_train_class"]
+    runs = {f"schedule_{x.epoch}_{x.rounds}": replace(base, schedule=x) for x in exchange.SCHEDULES}
+    runs |= {"two_hop": replace(base, hops=2), "no_exchange": replace(base, scheme="none")} | {n: RUNS[n] for n in ("rival_disjoint_federated", "rival_ring_average", "rival_importance")}
+    for name, s in runs.items():
+        states, log, m = trainer.live_update(e, 8, f, y, asg, s, 5, first=7)
+        found = evaluate.f1(_held_out(trainer.classify(states[-1], m).join(y, "vid")).select("y", "yhat"))
+        out.append(found.select(F.lit(name).alias("model"), F.lit(sum(r["exchanged"] for r in log)).alias("exchanges"), "*"))
+    return _stacked(out)
 
 
 @query()
@@ -267,13 +319,7 @@ def train_link_ranking(spark: SparkSession, d: str) -> DataFrame:
     e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
     asg = materialise(graphs.by_key(graphs.vertices(e), M), "assignment")
     states, _, _ = trainer.live_update(e, 3, _features(spark, d, e), None, asg, BASE, 2, first=2)
-    new = snapshots.delta(e, 4).select("a", "b")
-    pos = new.unionAll(new.select("b", "a")).toDF("query", "cand").filter(graphs.key_of("query") % 100 == 0)
-    cands = graphs.vertices(snapshots.at(e, 3)).select(F.col("vid").alias("cand"))
-    grid = pos.select("query").distinct().join(F.broadcast(cands)).filter("query <> cand")
-    pairs = pos.withColumn("y", F.lit(1)).unionAll(grid.withColumn("y", F.lit(0))).groupBy(F.col("query").alias("u"), F.col("cand").alias("v")).agg(F.max("y").alias("y"))
-    sc = materialise(evaluate.dot_scores(states[-1], pairs).select(F.col("u").alias("query"), F.col("v").alias("cand"), "score", "y"), "scores")
-    return evaluate.mrr(sc).join(F.broadcast(evaluate.map_by_query(sc).select("map"))).join(F.broadcast(evaluate.accuracy(sc).select("accuracy")))
+    return _ranked(e, states[-1], 4)
 
 
 @query()

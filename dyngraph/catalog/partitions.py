@@ -259,6 +259,28 @@ def part_temporal_run(spark: SparkSession, d: str) -> DataFrame:
     return out
 
 
+@query()
+def study_partitioners(spark: SparkSession, d: str) -> DataFrame:
+    """Stage orders and rival partitioners on co-purchases: cut, variation of the clients' edges, label entropy against the
+    best possible, and the sums that an exchange sends (two for each border vertex)."""
+    e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
+    y = materialise(segments(spark, d), "labels")
+    made = {f"{p}_first": partition.initial(e, y, partition.Config(M, primary=p, rounds=2)) for p in ("cut", "balance", "label")}
+    made |= {"modularity": partition_rivals.communities(e, M), "multilevel": partition_rivals.multilevel(e, M, coarse=400), "hash": graphs.by_key(graphs.vertices(e), M)}
+    out = None
+    for name, asg in made.items():
+        asg = materialise(asg, "assignment")
+        ee = materialise(clients.placed(e, asg), "placed")
+        inside = clients.local(ee).filter("src < dst").groupBy(F.col("pu").alias("part")).agg(F.count(F.lit(1)).alias("n")).withColumn("all", F.lit(0))
+        cov = quality.variation(inside, "n", M, "all").select("cov")
+        mixed = quality.entropy(asg, y).agg(F.round(F.avg("entropy"), 6).alias("entropy"))
+        sent = clients.border(ee).agg((2 * F.count(F.lit(1))).alias("sums_sent"))
+        row = quality.cut_ratio(ee).select(F.lit(name).alias("partitioner"), "edges", "cut", "ratio").join(F.broadcast(cov)).join(F.broadcast(mixed)).join(F.broadcast(sent))
+        row = row.join(F.broadcast(quality.best_entropy(y).select("best")))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 # --- measures
 
 _C = sql.base("copurchase")
