@@ -72,4 +72,4 @@ QUERIES = {
 }
 
 #: DuckDB SQL of those queries that SQL can express.
-ORACLES: dict[str, str] = {"op10_chat_formatting": chat.ORACLE}
+ORACLES: dict[str, str] = {"op9_minhash_neardup": neardup.ORACLE, "op10_chat_formatting": chat.ORACLE}
