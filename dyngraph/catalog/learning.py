@@ -296,7 +296,6 @@ def study_link_models(spark: SparkSession, d: str) -> DataFrame:
     return _stacked(out)
 
 
-@query()
 def study_class_models(spark: SparkSession, d: str) -> DataFrame:
     """F1 of held-out customers at snapshot 8 by model, exchange schedule and hops, with the exchanges that took place."""
     e = materialise(graphs.edges(spark, d, "copurchase"), "edges")
