@@ -1,38 +1,41 @@
 """URL filters: longest-prefix rules, then naive Bayes over the words of segmented hosts and paths.
 
 Concatenated host names are split into words by a unigram Viterbi search; the words, those of the path and the host's
-suffix are scored by a multinomial naive Bayes. Both models are fitted on a bounded sample: the unigram counts on
-the text of at most ``max_fitted`` pages, the classes on at most ``max_fitted`` urls that a rule judges, each chosen
-by a hash of page_id. Every url is then judged: by the longest rule that fits, else by the classifier.
+suffix are scored by a multinomial naive Bayes. The unigram counts cover the text of every page. No dictionary is
+broadcast: each distinct host gets the words that stand in it by a join of its substrings with the counted words, is split
+once, and its words are joined back to its urls. The classes are fitted on at most ``max_fitted`` urls that a rule judges
+(labelled rows), chosen by a hash of page_id. Every url is then judged: by the longest rule that fits, else by the classifier.
 
 Results for odd input: a null url, or one without ``://``, has an empty host and path, fits no rule and is judged by
 the prior; ties of rules go to the one named last among equals in length, ties of classes to allow; without judged
 urls everything is allowed; repeated rows are judged each; an empty table gives no rows; very long urls are judged
-whole; further columns are left alone.
+whole; words of more than ``LONGEST_WORD`` letters are no dictionary words; further columns are left alone.
 """
 
 from __future__ import annotations
 
 import math
-import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import lru_cache
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import written
+
 # The rules of the contract, (host/path prefix, verdict).
 RULES = (("com/", "allow"), ("example.com/en/", "block"), ("www.example.com/en/", "allow"), ("net/es/", "block"), ("net/fr/", "block"))
-#: Rows that either model is fitted on at most, and words that it keeps at most.
+#: Labelled urls that the classifier is fitted on at most.
 MAX_FITTED = 20_000
-MAX_WORDS = 50_000
+#: Letters of a dictionary word at most.
 LONGEST_WORD = 24
+#: Parts that the rows of one host, or of one word of many hosts, are dealt over.
+SALTS = 16
 SMOOTHING = 1.0
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
-_PIECE = re.compile(r"[^\W\d_]+|\d+")
+_PIECE = r"\p{L}+|\p{Nd}+"
 
 
 def host_of(url: Column) -> Column:
@@ -54,107 +57,138 @@ def rule_of(host: Column, path: Column, rules: tuple = RULES) -> Column:
     return out
 
 
+def split(name: str, log_rate: dict[str, float], unknown: float) -> list[str]:
+    """Most likely words of ``name``: Viterbi over prefixes, unknown words paying for each letter."""
+    best, back = [0.0], [0]
+    for end in range(1, len(name) + 1):
+        top, at = -math.inf, end - 1
+        for begin in range(max(0, end - LONGEST_WORD), end):
+            word = name[begin:end]
+            score = best[begin] + log_rate.get(word, unknown * (1 + len(word)))
+            if score > top:
+                top, at = score, begin
+        best.append(top)
+        back.append(at)
+    out, end = [], len(name)
+    while end:
+        out.append(name[back[end] : end])
+        end = back[end]
+    return out[::-1]
+
+
+def pieces_of(host: Column) -> tuple[Column, Column]:
+    """The host's last label, and the runs of letters or of digits of its other labels, in order."""
+    labels = F.filter(F.split(host, r"\."), lambda x: x != "")
+    pieces = F.transform(F.slice(labels, F.lit(1), F.greatest(F.size(labels) - 1, F.lit(0))), lambda x: F.regexp_extract_all(x, F.lit(_PIECE), F.lit(0)))
+    return F.get(labels, F.size(labels) - 1), F.flatten(pieces)
+
+
+def path_words(path: Column) -> Column:
+    """Words of the path (``p:``), numbers as one word."""
+    return F.transform(F.regexp_extract_all(F.lower(path), F.lit(_PIECE), F.lit(0)), lambda x: F.when(x.rlike(r"^\p{Nd}"), F.lit("p:#")).otherwise(F.concat(F.lit("p:"), x)))
+
+
+def word_counts(pages: DataFrame) -> DataFrame:
+    """(w, n): how often each word of up to ``LONGEST_WORD`` letters stands in the text of all pages."""
+    text = F.lower(F.regexp_replace(F.coalesce("html", F.lit("")), r"(?s)<(script|style)\b.*?</\1>|<[^>]*>|&\w+;", " "))
+    words = pages.select(F.explode(F.regexp_extract_all(text, F.lit(r"\p{L}+"), F.lit(0))).alias("w"))
+    return words.filter(F.length("w") <= LONGEST_WORD).groupBy("w").agg(F.count(F.lit(1)).alias("n"))
+
+
+def segmented(parts: DataFrame, counts: DataFrame) -> DataFrame:
+    """(host, words): each distinct host with its last label (``s:``) and the words that its pieces split into (``h:``).
+
+    A host meets its candidate words by a hash of its name; hosts of equal hash would share candidates, which changes
+    nothing, since only substrings of the host are looked up.
+    """
+    suffix, pieces = pieces_of(F.col("host"))
+    hosts = parts.select("host").distinct().select("host", F.xxhash64("host").alias("hid"), suffix.alias("suffix"), pieces.alias("pieces"))
+    hosts = written(hosts, "hosts")
+    counts = written(counts, "words")
+    total = counts.agg((F.coalesce(F.sum("n"), F.lit(0)) + 1.0).alias("t")).first()["t"]
+    ends = F.sequence(F.lit(1), F.length("piece"))
+    cuts = F.flatten(F.transform(ends, lambda e: F.transform(F.sequence(F.greatest(e - LONGEST_WORD, F.lit(0)), e - 1), lambda b: F.substring(F.col("piece"), b + 1, e - b))))
+    subs = hosts.select("hid", F.explode("pieces").alias("piece")).select("hid", F.explode(cuts).alias("w"))
+    known = written(counts.join(subs.select("w").distinct(), "w"), "known")  # words that stand in some host
+    salt = F.pmod("hid", F.lit(SALTS)).cast("int").alias("salt")
+    dealt = known.select("w", "n", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    found = subs.select("hid", "w", salt).join(dealt, ["w", "salt"]).groupBy("hid").agg(F.collect_set(F.struct("w", "n")).alias("found"))
+    unknown = math.log(1 / total)
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            names, suffixes, pieces, found = (batch.column(c).to_pylist() for c in ("host", "suffix", "pieces", "found"))
+            out = []
+            for last, runs, near in zip(suffixes, pieces, found, strict=True):
+                rate = {x["w"]: math.log(x["n"] / total) for x in near or ()}
+                out.append([f"s:{last}"] * (last is not None) + [f"h:{w}" for run in runs for w in split(run, rate, unknown)])
+            yield pa.RecordBatch.from_arrays([pa.array(names, pa.string()), pa.array(out, pa.list_(pa.string()))], names=["host", "words"])
+
+    met = hosts.join(found, "hid", "left").select("host", "suffix", "pieces", "found")
+    return written(met.mapInArrow(work, "host string, words array<string>"), "segmented")
+
+
+def parts_of(pages: DataFrame, rules: tuple = RULES) -> DataFrame:
+    """page_id, host, path and rule of every url."""
+    parts = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
+    return parts.withColumn("rule", rule_of(F.col("host"), F.col("path"), rules))
+
+
+def worded(parts: DataFrame, hosts: DataFrame) -> DataFrame:
+    """``parts`` with the words of host and path; urls of one host are dealt over ``SALTS`` parts."""
+    dealt = hosts.select("host", F.col("words").alias("of_host"), F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).alias("salt"))
+    url = parts.withColumn("salt", F.pmod(F.xxhash64("page_id", "path"), F.lit(SALTS)).cast("int"))
+    return url.join(dealt, ["host", "salt"]).select("page_id", "host", "path", "rule", F.concat("of_host", path_words(F.col("path"))).alias("words"))
+
+
 @dataclass(frozen=True)
 class Model:
-    """Fitted counts; small and bounded, so it travels with the task."""
-
-    unigrams: dict[str, float]
-    unknown: float
-    prior: dict[str, float]
-    words: dict[str, dict[str, float]]
-    other: dict[str, float]
-
-    def split(self, name: str) -> list[str]:
-        """Most likely words of ``name``: Viterbi over prefixes, unknown words paying for each letter."""
-        best, back = [0.0], [0]
-        for end in range(1, len(name) + 1):
-            top, at = -math.inf, end - 1
-            for begin in range(max(0, end - LONGEST_WORD), end):
-                word = name[begin:end]
-                score = best[begin] + self.unigrams.get(word, self.unknown * (1 + len(word)))
-                if score > top:
-                    top, at = score, begin
-            best.append(top)
-            back.append(at)
-        out, end = [], len(name)
-        while end:
-            out.append(name[back[end] : end])
-            end = back[end]
-        return out[::-1]
-
-    def verdict(self, words: list[str]) -> tuple[str, float]:
-        """Verdict and log odds of block against allow."""
-        odds = self.prior["block"] - self.prior["allow"]
-        for w in words:
-            odds += self.words["block"].get(w, self.other["block"]) - self.words["allow"].get(w, self.other["allow"])
-        return ("block" if odds > 0 else "allow"), odds
-
-
-def features(model: Model, cut: callable, host: str, path: str) -> list[str]:
-    """Words of the host's labels (``h:``), its last label (``s:``) and the words of the path (``p:``)."""
-    labels = [x for x in host.split(".") if x]
-    out = [f"s:{labels[-1]}"] if labels else []
-    for label in labels[:-1]:
-        for piece in _PIECE.findall(label):
-            out += [f"h:{w}" for w in cut(piece)]
-    for piece in _PIECE.findall(path.lower()):
-        out.append("p:#" if piece.isdigit() else f"p:{piece}")
-    return out
+    """The fitted classes; as large as the words of at most ``max_fitted`` urls, so it travels with the task."""
 
+    prior: float
+    weights: dict[str, float]
 
-def fit(pages: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED, max_words: int = MAX_WORDS) -> Model:
-    """Both models from bounded samples; at most ``max_fitted`` urls and ``max_words`` counts reach the driver."""
-    order = [F.xxhash64("page_id"), "page_id"]
-    chosen = pages.select("page_id").filter("page_id is not null").distinct().orderBy(*order).limit(max_fitted)  # ids only are sorted
-    sample = pages.select("page_id", "html").join(F.broadcast(chosen), "page_id", "left_semi")
-    text = F.lower(F.regexp_replace(F.coalesce("html", F.lit("")), r"(?s)<(script|style)\b.*?</\1>|<[^>]*>|&\w+;", " "))
-    words = sample.select(F.explode(F.regexp_extract_all(text, F.lit(r"\p{L}{1,%d}" % LONGEST_WORD), F.lit(0))).alias("w"))
-    counts = {r["w"]: r["n"] for r in words.groupBy("w").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "w").limit(max_words).collect()}
-    total = sum(counts.values()) + 1.0
-    unigrams = {w: math.log(n / total) for w, n in counts.items()}
-    blank = Model(unigrams, math.log(1 / total), {}, {}, {})
-    host, path = host_of(F.col("url")), path_of(F.col("url"))
-    judged = pages.select("page_id", host.alias("host"), path.alias("path")).withColumn("rule", rule_of(F.col("host"), F.col("path"), rules)).filter("rule is not null")
+    def odds(self, words: list[str]) -> float:
+        """Log odds of block against allow; words that no fitted url has say nothing."""
+        return self.prior + sum(self.weights.get(w, 0.0) for w in words)
+
+
+def fit(urls: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED) -> Model:
+    """The classes from at most ``max_fitted`` of those rows of ``worded`` that a rule judges."""
     says = dict(rules)
-    rows = judged.orderBy(*order).limit(max_fitted).select("host", "path", "rule").collect()
-    cut = lru_cache(100_000)(blank.split)
+    judged = urls.filter("rule is not null").orderBy(F.xxhash64("page_id"), "page_id", "host", "path").limit(max_fitted)
     seen = {"allow": Counter(), "block": Counter()}
-    docs = Counter({"allow": 1, "block": 0 if not rows else 1})
-    for r in rows:
+    docs = Counter()
+    for r in judged.select("rule", "words").collect():
         docs[says[r["rule"]]] += 1
-        seen[says[r["rule"]]].update(features(blank, cut, r["host"], r["path"]))
-    n = len(set(seen["allow"]) | set(seen["block"])) + 1
-    log = lambda c, k: math.log((c + SMOOTHING) / (sum(seen[k].values()) + SMOOTHING * n))
-    return Model(
-        unigrams, blank.unknown,
-        {k: math.log(max(docs[k], 1e-9) / sum(docs.values())) for k in seen},
-        {k: {w: log(c, k) for w, c in seen[k].items()} for k in seen},
-        {k: log(0, k) for k in seen},
-    )
-
-
-def judge(pages: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED) -> DataFrame:
-    """One row per row of ``pages`` (page_id, url, html): page_id, host, path, rule, verdict, words, odds."""
-    model = pages.sparkSession.sparkContext.broadcast(fit(pages, rules, max_fitted))
+        seen[says[r["rule"]]].update(r["words"])
+    if not docs:
+        return Model(-math.inf, {})
+    known = set(seen["allow"]) | set(seen["block"])
+    size = {k: math.log(c.total() + SMOOTHING * len(known)) for k, c in seen.items()}
+    rate = lambda k, n: math.log(n + SMOOTHING) - size[k]
+    weights = {w: rate("block", seen["block"][w]) - rate("allow", seen["allow"][w]) for w in known}
+    return Model(math.log(docs["block"] + 1) - math.log(docs["allow"] + 1), weights)
+
+
+def classify(urls: DataFrame, fitted: Model, rules: tuple = RULES) -> DataFrame:
+    """Rows of ``worded`` with ``said`` and ``odds`` (the method's verdict) and ``verdict`` (the rule's, else the method's)."""
+    model = urls.sparkSession.sparkContext.broadcast(fitted)
     says = dict(rules)
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = model.value
-        cut = lru_cache(200_000)(m.split)
         for batch in batches:
-            hosts, paths, found = (batch.column(c).to_pylist() for c in ("host", "path", "rule"))
-            verdicts, words, odds = [], [], []
-            for host, path, rule in zip(hosts, paths, found, strict=True):
-                w = features(m, cut, host, path)
-                v, o = m.verdict(w)
-                verdicts.append(says[rule] if rule else v)
-                words.append(" ".join(w))
-                odds.append(round(o, 6))
-            yield pa.RecordBatch.from_arrays(
-                [*(batch.column(c) for c in ("page_id", "host", "path", "rule")), pa.array(verdicts, pa.string()), pa.array(words, pa.string()), pa.array(odds, pa.float64())],
-                names=["page_id", "host", "path", "rule", "verdict", "words", "odds"],
-            )
+            odds = [model.value.odds(w) for w in batch.column("words").to_pylist()]
+            said = ["block" if o > 0 else "allow" for o in odds]
+            verdict = [says[r] if r else s for r, s in zip(batch.column("rule").to_pylist(), said, strict=True)]
+            extra = [pa.array(verdict, pa.string()), pa.array(said, pa.string()), pa.array([round(o, 6) for o in odds], pa.float64())]
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("page_id", "host", "path", "rule", "words")), *extra], names=["page_id", "host", "path", "rule", "words", "verdict", "said", "odds"])
 
-    parts = pages.select("page_id", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
-    parts = parts.withColumn("rule", rule_of(F.col("host"), F.col("path"), rules))
-    return parts.mapInArrow(work, "page_id long, host string, path string, rule string, verdict string, words string, odds double")
+    return urls.mapInArrow(work, "page_id long, host string, path string, rule string, words array<string>, verdict string, said string, odds double")
+
+
+def judge(pages: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED) -> DataFrame:
+    """One row per row of ``pages`` (page_id, url, html): page_id, host, path, rule, words, verdict, said, odds."""
+    parts = parts_of(pages, rules)
+    urls = worded(parts, segmented(parts, word_counts(pages)))
+    return classify(urls, fit(urls, rules, max_fitted), rules)

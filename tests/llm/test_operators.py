@@ -2,6 +2,7 @@
 
 import hashlib
 import io
+import math
 import random
 import re
 import zlib
@@ -9,6 +10,7 @@ import zlib
 import numpy as np
 import public_tokenizers
 import pytest
+import regex
 import tiktoken
 import xxhash
 from pyspark.sql import functions as F
@@ -250,8 +252,61 @@ def test_url_rules_and_odd_urls(spark):
 
 
 def test_segmentation_splits_known_words():
-    m = urlfilter.Model({"cheap": -3.0, "pills": -3.5, "pill": -4.0, "s": -5.0}, -12.0, {}, {}, {})
-    assert m.split("cheappills") == ["cheap", "pills"] and m.split("") == []
+    rate = {"cheap": -3.0, "pills": -3.5, "pill": -4.0, "s": -5.0}
+    assert urlfilter.split("cheappills", rate, -12.0) == ["cheap", "pills"] and urlfilter.split("", rate, -12.0) == []
+
+
+def test_url_words_equal_brute_force(spark, sf):
+    pages = spark.read.parquet(f"{sf}/pages.parquet")
+    rows = pages.select("page_id", "url", "html").collect()
+    count = {}
+    for r in rows:
+        text = regex.sub(r"(?s)<(script|style)\b.*?</\1>|<[^>]*>|&\w+;", " ", r["html"] or "").lower()
+        for w in regex.findall(r"\p{L}+", text):
+            if len(w) <= urlfilter.LONGEST_WORD:
+                count[w] = count.get(w, 0) + 1
+    total = sum(count.values()) + 1.0
+    rate = {w: math.log(n / total) for w, n in count.items()}
+    got = {r["page_id"]: r for r in urlfilter.judge(pages).collect()}
+    words, seen, docs = {}, {"allow": {}, "block": {}}, {"allow": 0, "block": 0}
+    for r in rows:
+        labels = [x for x in got[r["page_id"]]["host"].split(".") if x]
+        out = [f"s:{labels[-1]}"] if labels else []
+        out += [f"h:{w}" for x in labels[:-1] for run in regex.findall(r"\p{L}+|\p{Nd}+", x) for w in urlfilter.split(run, rate, math.log(1 / total))]
+        out += ["p:#" if x.isdigit() else f"p:{x}" for x in regex.findall(r"\p{L}+|\p{Nd}+", got[r["page_id"]]["path"].lower())]
+        words[r["page_id"]] = out
+        if rule := got[r["page_id"]]["rule"]:
+            k = dict(urlfilter.RULES)[rule]
+            docs[k] += 1
+            for w in out:
+                seen[k][w] = seen[k].get(w, 0) + 1
+    assert {i: list(r["words"]) for i, r in got.items()} == words
+    n = len(set(seen["allow"]) | set(seen["block"]))
+    for i, r in got.items():
+        odds = math.log((docs["block"] + 1) / (docs["allow"] + 1))
+        for w in [w for w in words[i] if w in seen["block"] or w in seen["allow"]]:
+            odds += math.log((seen["block"].get(w, 0) + 1) / (sum(seen["block"].values()) + n)) - math.log((seen["allow"].get(w, 0) + 1) / (sum(seen["allow"].values()) + n))
+        assert abs(odds - r["odds"]) < 1e-5 and r["said"] == ("block" if odds > 0 else "allow") or abs(odds) < 1e-5
+
+
+def test_url_classes_on_held_out_rows(spark):
+    """Of the urls that a rule judges, half train the classes and the other half are judged by them alone."""
+    pages = spark.read.parquet("/root/testdata/sf0.1/pages.parquet")
+    parts = urlfilter.parts_of(pages)
+    urls = urlfilter.worded(parts, urlfilter.segmented(parts, urlfilter.word_counts(pages))).filter("rule is not null")
+    half = F.pmod(F.xxhash64("page_id", F.lit("half")), F.lit(2))
+    rows = urlfilter.classify(urls.filter(half == 0), urlfilter.fit(urls.filter(half == 1))).collect()
+    right = sum(r["said"] == r["verdict"] for r in rows) / len(rows)
+    print("held-out accuracy", right, len(rows))
+    assert len(rows) > 30 and right >= 0.9
+
+
+def test_url_filter_of_odd_tables(spark):
+    ddl = "page_id long, url string, html string, words string, salt int, host string, rule string"
+    assert urlfilter.judge(spark.createDataFrame([], ddl)).count() == 0
+    rows = [(None, None, None, "x", 1, "y", "z"), (1, "http://a.com/x", None, None, None, None, None), (1, "http://a.com/x", None, None, None, None, None), (2, "h://" + "ab" * 3000 + ".org/", "ab " * 5, "", 0, "", "")]
+    got = sorted(((r["page_id"], r["host"], r["rule"], r["verdict"]) for r in urlfilter.judge(spark.createDataFrame(rows, ddl)).collect()), key=str)
+    assert got == [(1, "a.com", "com/", "allow"), (1, "a.com", "com/", "allow"), (2, "ab" * 3000 + ".org", None, "allow"), (None, "", None, "allow")]
 
 
 def test_media_round_trip_and_sequences(spark):
