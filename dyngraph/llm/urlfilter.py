@@ -15,7 +15,6 @@ whole; words of more than ``LONGEST_WORD`` letters are no dictionary words; furt
 from __future__ import annotations
 
 import math
-from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -155,19 +154,18 @@ class Model:
 
 def fit(urls: DataFrame, rules: tuple = RULES, max_fitted: int = MAX_FITTED) -> Model:
     """The classes from at most ``max_fitted`` of those rows of ``worded`` that a rule judges."""
-    says = dict(rules)
+    block = [text for text, verdict in rules if verdict == "block"]
     judged = urls.filter("rule is not null").orderBy(F.xxhash64("page_id"), "page_id", "host", "path").limit(max_fitted)
-    seen = {"allow": Counter(), "block": Counter()}
-    docs = Counter()
-    for r in judged.select("rule", "words").collect():
-        docs[says[r["rule"]]] += 1
-        seen[says[r["rule"]]].update(r["words"])
-    if not docs:
+    each = judged.select(F.col("rule").isin(block).alias("bad"), F.explode(F.concat("words", F.array(F.lit("")))).alias("w"))  # the empty word counts urls
+    rows = each.groupBy("w").agg(F.count_if("bad").alias("block"), F.count_if(~F.col("bad")).alias("allow")).collect()
+    seen = {k: {r["w"]: r[k] for r in rows if r[k]} for k in ("block", "allow")}
+    docs = {k: c.pop("", 0) for k, c in seen.items()}
+    if not rows:
         return Model(-math.inf, {})
     known = set(seen["allow"]) | set(seen["block"])
-    size = {k: math.log(c.total() + SMOOTHING * len(known)) for k, c in seen.items()}
+    size = {k: math.log(sum(c.values()) + SMOOTHING * len(known)) for k, c in seen.items()}
     rate = lambda k, n: math.log(n + SMOOTHING) - size[k]
-    weights = {w: rate("block", seen["block"][w]) - rate("allow", seen["allow"][w]) for w in known}
+    weights = {w: rate("block", seen["block"].get(w, 0)) - rate("allow", seen["allow"].get(w, 0)) for w in known}
     return Model(math.log(docs["block"] + 1) - math.log(docs["allow"] + 1), weights)
 
 
