@@ -4,8 +4,7 @@ Pages are written as WARC 1.1 records by Spark's text writer (records end in two
 separator), one gzip file a task. Of equal payloads of ``REVISIT_BYTES`` or more, the record of the largest page_id
 is a response and the others are revisits of it. Reading parses each file as a stream by its Content-Length headers,
 so payloads may hold anything, and gives one capture run a file, sorted by URL key and time. Runs are dealt out by
-range, and each range is merged from its runs by a loser tree; runs beyond a bound of memory are spooled to the
-task's own temporary files while it lasts.
+range, as many as bound a range's size, and each range is merged from its runs by a loser tree.
 
 Results for odd input: null html is an empty payload; a null url is an empty target; control characters in a url are
 escaped in the header; rows that repeat a page_id get a record each; rows without page_id are never responses to others and
@@ -17,21 +16,20 @@ from __future__ import annotations
 import gzip
 import hashlib
 import io
-import os
+import math
 import re
-import tempfile
 from collections.abc import Callable, Iterator
+from itertools import groupby, islice
 
 import pyarrow as pa
-import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import scratch_path, written
 
 REVISIT_BYTES = 1000
-#: Bytes of index rows that one task holds before it spools runs to files.
-SPOOL_BYTES = 64 << 20
+#: Bytes of index rows that one range holds, about.
+RANGE_BYTES = 64 << 20
 _EOL = "\r\n"
 _FIELDS = [("urlkey", pa.string()), ("captured", pa.string()), ("page_id", pa.int64()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("archive", pa.string()), ("at", pa.int64())]
 _SCHEMA = pa.schema(_FIELDS)
@@ -195,67 +193,36 @@ class LoserTree:
             self.winner = win
 
 
-class _Run:
-    """Batches of one run, in memory or in a file of the task's own."""
-
-    def __init__(self, folder: str, number: int) -> None:
-        self.path, self.batches, self.writer, self.last, self.sorted = os.path.join(folder, str(number)), [], None, None, True
-
-    def add(self, batch: pa.RecordBatch) -> None:
-        rows = list(zip(*(c.to_pylist() for c in batch.columns), strict=True))
-        keys = [_key(r) for r in rows]
-        if self.last is not None:
-            keys = [self.last, *keys]
-        self.sorted = self.sorted and all(a <= b for a, b in zip(keys, keys[1:], strict=False))
-        self.last = keys[-1]
-        self.batches.append(batch)
-
-    def spool(self) -> None:
-        for b in self.batches:
-            self.writer = self.writer or pa.ipc.new_stream(self.path, _SCHEMA)
-            self.writer.write_batch(b)
-        self.batches = []
-
-    def rows(self) -> Iterator[tuple]:
-        def stored() -> Iterator[pa.RecordBatch]:
-            if self.writer:
-                self.writer.close()
-                with pa.OSFile(self.path) as f:
-                    yield from pa.ipc.open_stream(f)
-            yield from self.batches
-
-        each = (r for b in stored() for lo in range(0, b.num_rows, 1000) for r in zip(*(c.to_pylist() for c in b.slice(lo, 1000).columns), strict=True))
-        return each if self.sorted else iter(sorted(each, key=_key))
-
-
-def merged(index: DataFrame) -> DataFrame:
-    """Capture histories: ``index`` ordered by URL key, time and page_id over all partitions and within each."""
-
-    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        with tempfile.TemporaryDirectory() as folder:
-            found: dict[str, _Run] = {}
-            held = 0
-            for batch in batches:
-                names = batch.column("archive").dictionary_encode()
-                for code, name in enumerate(names.dictionary.to_pylist()):
-                    part = batch.filter(pa.compute.equal(names.indices, code))
-                    if part.num_rows:
-                        found.setdefault(name, _Run(folder, len(found))).add(part)
-                held += batch.nbytes
-                if held > SPOOL_BYTES:
-                    for run in found.values():
-                        run.spool()
-                    held = 0
-            rows = []
-            for row in LoserTree([r.rows() for _, r in sorted(found.items())], _key):
-                rows.append(row)
-                if len(rows) == 10_000:
-                    yield _batch(rows)
-                    rows = []
-            if rows:
-                yield _batch(rows)
-
-    return index.repartitionByRange("urlkey", "captured", "page_id").mapInArrow(work, _DDL)
+def _rows(run: list[pa.RecordBatch]) -> Iterator[tuple]:
+    for batch in run:
+        for lo in range(0, batch.num_rows, 1000):
+            yield from zip(*(c.to_pylist() for c in batch.slice(lo, 1000).columns), strict=True)
+
+
+def _merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """One range's rows, which arrive archive by archive and in order within each, merged to one run."""
+    found: dict[str | None, list[pa.RecordBatch]] = {}
+    for batch in batches:
+        lo = 0
+        for name, same in groupby(batch.column("archive").to_pylist()):
+            n = sum(1 for _ in same)
+            found.setdefault(name, []).append(batch.slice(lo, n))
+            lo += n
+    rows = iter(LoserTree([_rows(run) for run in found.values()], _key))
+    while some := list(islice(rows, 10_000)):
+        yield _batch(some)
+
+
+def merged(index: DataFrame, range_bytes: int = RANGE_BYTES) -> DataFrame:
+    """Capture histories: ``index`` ordered by URL key, time and page_id over all partitions and within each.
+
+    There are as many ranges as keep each near ``range_bytes``. Runs arrive sorted by Spark's own sort, which spills
+    where it must, so that a task holds its range and one row of each run and keeps no files.
+    """
+    keys = ("urlkey", "captured", "page_id")
+    size = index.agg(F.sum(F.octet_length("urlkey") + 200)).first()[0] or 0
+    ranges = max(int(index.sparkSession.conf.get("spark.sql.shuffle.partitions")), math.ceil(size / range_bytes))
+    return index.repartitionByRange(ranges, *keys).sortWithinPartitions("archive", *keys).mapInArrow(_merge, _DDL)
 
 
 def round_trip(pages: DataFrame) -> DataFrame:

@@ -146,7 +146,7 @@ def test_warc_round_trip_and_order(spark):
         assert (r["record_type"], r["refers_to"]) == (("revisit", 6) if again else ("response", None))
 
 
-def test_loser_tree_and_spooled_runs(spark, monkeypatch):
+def test_loser_tree():
     rng = random.Random(1)
     runs = [sorted(rng.randrange(50) for _ in range(n)) for n in (0, 1, 7, 30, 200)]
     merged = list(warc.LoserTree([iter([(x,) for x in r]) for r in runs], lambda x: x))
@@ -154,6 +154,26 @@ def test_loser_tree_and_spooled_runs(spark, monkeypatch):
     assert list(warc.LoserTree([], lambda x: x)) == []
 
 
+def test_merge_of_many_runs_in_small_ranges(spark):
+    rng = random.Random(2)
+    rows = [(f"k{rng.randrange(40)}", f"t{rng.randrange(5)}", rng.choice([None, rng.randrange(9)]), 1, "d", "response", None, f"part-{i % 2000}", i) for i in range(6000)]
+    index = spark.createDataFrame(rows, warc._DDL).repartition(7)
+    out = warc.merged(index, range_bytes=20_000)
+    got = [tuple(r) for r in out.collect()]
+    assert out.rdd.getNumPartitions() > 20 and sorted(got, key=str) == sorted(rows, key=str)
+    assert [warc._key(r) for r in got] == sorted(warc._key(r) for r in rows)
+    assert warc.merged(index.limit(0)).isEmpty()
+
+
+def test_warc_of_odd_tables(spark):
+    ddl = "page_id long, url string, html string, digest string, record_type string, payload_bytes long"
+    assert warc.round_trip(spark.createDataFrame([], ddl)).isEmpty()
+    long = "é" * 300_000
+    rows = warc.round_trip(spark.createDataFrame([(1, "http://a/b", long, "x", "y", 7), (1, "http://a/b", long, "x", "y", 7), (None, None, "", None, None, None)], ddl)).collect()
+    assert sorted((r["payload_bytes"], r["record_type"], r["refers_to"] or 0) for r in rows) == [(0, "response", 0), (600_000, "response", 0), (600_000, "response", 0)]
+    assert all(r["payload_digest"] == hashlib.sha1(long.encode() if r["payload_bytes"] else b"").hexdigest() for r in rows)
+
+
 def test_cut_archive_is_refused():
     with pytest.raises(ValueError):
         list(warc.parse(io.BytesIO(b"WARC/1.1\r\nContent-Length: 9\r\n\r\nabc")))
