@@ -256,22 +256,23 @@ def initial(e: DataFrame, labels: DataFrame | None = None, cfg: Config | None =
     if not rows:
         return every.select("vid", F.lit(0).alias("part"))
     assigned = spark.sql(f"select * from values {rows} as t(vid, part)")
-    disputed = None
+    disputed = every.limit(0)
+    last = assigned  # a vertex next to an earlier level has been reached by now
     for _ in range(cfg.max_level):
-        open_ = every.join(assigned, "vid", "left_anti")
-        near = materialise(reached(steer, assigned, open_), "reached")
+        near = materialise(reached(steer, last, every.join(assigned, "vid", "left_anti")), "reached")
         if near.isEmpty():
             break
-        fresh = near.filter("owners = 1").select("vid", "part")
-        tied = near.filter("owners > 1").select("vid")
-        disputed = tied if disputed is None else disputed.unionAll(tied)
-        base = assigned.unionByName(fresh)
-        settled = place(real, tied, base, labels, cfg)
-        left = tied.join(settled, "vid", "left_anti")
-        assigned = materialise(base.unionByName(settled).unionByName(lightest(real, left, base, cfg.clients)), "assignment")
+        last, tied = near.filter("owners = 1").select("vid", "part"), near.filter("owners > 1").select("vid")
+        if not tied.isEmpty():
+            disputed = disputed.unionAll(tied)
+            base = assigned.unionByName(last)
+            settled = materialise(place(real, tied, base, labels, cfg), "settled")
+            left = tied.join(settled, "vid", "left_anti")
+            last = materialise(last.unionByName(settled).unionByName(lightest(real, left, base, cfg.clients)), "placed")
+        assigned = materialise(assigned.unionByName(last), "assignment")
     rest = every.join(assigned, "vid", "left_anti")
     assigned = materialise(assigned.unionByName(lightest(real, rest, assigned, cfg.clients)), "assignment")
-    scope = disputed if disputed is not None else every.limit(0)
+    scope = disputed
     if cfg.scope == "border":
         pairs = real.join(assigned.withColumnRenamed("vid", "src"), "src").join(assigned.select(F.col("vid").alias("dst"), F.col("part").alias("p2")), "dst")
         scope = scope.unionAll(pairs.filter("part <> p2").select(F.col("src").alias("vid"))).distinct()

@@ -36,15 +36,23 @@ def components(e: DataFrame, max_rounds: int = 64) -> DataFrame:
 
 
 def levels(e: DataFrame, start: DataFrame, max_level: int = 10**6) -> DataFrame:
-    """(vid, level): breadth-first distance from any of the start vertices, for those reached."""
+    """(vid, level): breadth-first distance from any of the start vertices, for those reached.
+
+    A neighbour of a frontier lies in it, in the one before or in the next, so a round joins these alone and its plan
+    stays the same; the frontiers are brought together every few rounds.
+    """
     both = materialise(symmetric(e.select("a", "b", F.lit(0).alias("first"))).select("src", "dst"), "both")
     found = frontier = materialise(start.select("vid", F.lit(0).alias("level")).distinct(), "levels")
+    before = frontier.limit(0)
     for level in range(1, max_level + 1):
         step = both.join(frontier.select(F.col("vid").alias("src")), "src").select(F.col("dst").alias("vid")).distinct()
-        frontier = materialise(step.join(found, "vid", "left_anti").select("vid", F.lit(level).alias("level")), "frontier")
+        near = frontier.select("vid").unionAll(before.select("vid"))
+        before, frontier = frontier, materialise(step.join(near, "vid", "left_anti").select("vid", F.lit(level).alias("level")), "frontier")
         if frontier.isEmpty():
             break
         found = found.unionAll(frontier)
+        if level % 16 == 0:
+            found = materialise(found, "levels")
     return found
 
 
