@@ -55,7 +55,8 @@ def model(d: int, classes: int, s: Settings) -> Model:
     sizes = [d] + [s.hidden] * s.layers
     out = {f"w{i}": rng.normal(scale=sizes[i] ** -0.5, size=(sizes[i], sizes[i + 1])) for i in range(s.layers)}
     out |= {"out": rng.normal(scale=s.hidden**-0.5, size=(s.hidden, classes))}
-    return out | ({f"g_{k}": v for k, v in recurrent.weights(s.hidden, s.seed).items()} if s.cell == "gru" else {})
+    out |= {f"g_{k}": v for k, v in recurrent.weights(s.hidden, s.seed).items()} if s.cell == "gru" else {}
+    return out | ({f"i_{k}": np.zeros_like(v) for k, v in out.items()} if s.importance else {})
 
 
 def gates_of(m: Model) -> dict[str, np.ndarray] | None:
@@ -63,6 +64,13 @@ def gates_of(m: Model) -> dict[str, np.ndarray] | None:
     return {k[2:]: v for k, v in m.items() if k.startswith("g_")} or None
 
 
+def importances(grad: Model) -> Model:
+    """How much the loss hangs on each parameter: squared gradients, scaled to a mean of one over the whole model."""
+    squares = {k: v**2 for k, v in grad.items() if not k.startswith("i_")}
+    mean = sum(v.sum() for v in squares.values()) / sum(v.size for v in squares.values())
+    return {f"i_{k}": v / mean if mean else np.zeros_like(v) for k, v in squares.items()}
+
+
 def forward(edges: DataFrame, feats: DataFrame, weights: list[np.ndarray], how: str = "sum", rings: DataFrame | None = None, before: list[DataFrame] | None = None, gates: list[dict] | None = None, act: str = "relu", recurrent_input: str = "hidden", last_act: str | None = None) -> list[DataFrame]:
     """States (vid, x) after each layer. With ``rings`` (layer, vid) only those are computed and ``before`` fills the rest.
 
@@ -187,7 +195,8 @@ def _pairs(src: np.ndarray, dst: np.ndarray, n: int, rng: np.random.Generator) -
 def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model, s: Settings, received: list[bool] | None = None) -> pd.DataFrame:
     """All epochs of one client; returns its model as rows (part, weight, loss, name, data).
 
-    ``received`` says for each epoch whether corrections have reached the client by then.
+    ``received`` says for each epoch whether corrections have reached the client by then. With ``importance`` each
+    parameter is drawn to the snapshot before (``anchor``) by the weight it had there, and new weights are returned.
     """
     part = int(nodes["part"].iloc[0]) if len(nodes) else int(pairs["part"].iloc[0])
     rows = lambda w, loss, mm: pd.DataFrame({"part": part, "weight": float(w), "loss": float(loss), "name": list(mm), "data": [v.ravel().tolist() for v in mm.values()]})
@@ -214,10 +223,12 @@ def local_step(nodes: pd.DataFrame, pairs: pd.DataFrame, m: Model, anchor: Model
     none = np.zeros_like(extra)
     for e in range(s.epochs):
         loss, g = loss_and_gradient(m, x, mul, s.task, y, told, extra if received is None or received[e] else none, prev)
-        for k in m:
-            step = g[k] + (s.importance * (m[k] - anchor[k]) if s.importance else 0.0)
+        for k in [k for k in m if not k.startswith("i_")]:
+            step = g[k] + (s.importance * anchor[f"i_{k}"] * (m[k] - anchor[k]) if s.importance else 0.0)
             size = float(np.sqrt((step**2).sum()))
             m[k] -= s.rate * step / max(1.0, size)
+    if s.importance:
+        m |= importances(loss_and_gradient(m, x, mul, s.task, y, told, extra if received is None or received[-1] else none, prev)[1])
     return rows(len(nodes), loss, m)
 
 

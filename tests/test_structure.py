@@ -159,6 +159,26 @@ def test_gradient_of_the_cell_by_differences():
             assert abs(num - g[k].flat[i]) < 1e-5, (k, i)
 
 
+def test_importance_holds_what_mattered_before():
+    import pandas as pd
+
+    s = trainer.Settings(task="class", hidden=3, epochs=4, importance=1.0)
+    m = trainer.model(2, 3, s)
+    rng = np.random.default_rng(4)
+    nodes = pd.DataFrame({"part": 0, "vid": range(8), "x": list(rng.normal(size=(8, 2))), "extra": [np.zeros(2)] * 8, "prev": [np.zeros(3)] * 8, "y": [0, 1, 2, 0, 1, 2, 0, 1], "train": True})
+    pairs = pd.DataFrame({"part": 0, "src": [0, 1, 2, 3], "dst": [1, 0, 3, 2]})
+
+    def step(anchor):
+        got = trainer.local_step(nodes, pairs, anchor, anchor, s)
+        return {k: np.array(v).reshape(m[k].shape) for k, v in zip(got["name"], got["data"], strict=True)}
+
+    free, held = step(m), step({**m, "i_out": np.full_like(m["out"], 5.0)})
+    assert np.abs(held["out"] - m["out"]).sum() < np.abs(free["out"] - m["out"]).sum()
+    weights = np.concatenate([v.ravel() for k, v in free.items() if k.startswith("i_")])
+    assert weights.mean() == pytest.approx(1) and weights.min() >= 0 and weights.std() > 0
+    assert set(free) == set(m)
+
+
 def test_schedules_cell_and_hops_change_the_training(spark, sf):
     from dataclasses import replace
 
