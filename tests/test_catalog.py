@@ -37,6 +37,11 @@ def test_against_sql(spark, sf, name):
     assert a == b
 
 
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01"])
+def test_client_count_and_validity_against_sql(spark, sf, size):
+    test_against_sql(spark, os.path.join(os.path.dirname(sf), size), "part_count_valid")
+
+
 def test_plans_have_no_cartesian_product_and_push_filters(spark, sf):
     from dyngraph.plans.explain import operators, pushed
     from dyngraph.sources.tables import table
