@@ -120,6 +120,46 @@ def test_ranking_skips_queries_without_positive_and_orders_ties(spark):
     assert evaluate.map_by_query(s).first()["queries"] == 2
 
 
+def test_link_measures_rank_every_query_as_the_listed_pairs_do(spark):
+    rng = np.random.default_rng(3)
+    x = np.round(rng.normal(size=(60, 3)), 1)  # coarse, so that scores tie
+    x[40:] = x[:20]
+    h = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vid long, x array<double>")
+    links = {(int(a), int(b)) for a, b in rng.integers(0, 64, (70, 2)) if a != b}  # vertices 60 to 63 have no state
+    pos = spark.createDataFrame(sorted(links), "query long, cand long")
+    cands = spark.range(50).toDF("vid")  # 50 to 59 come as positives only
+    listed = {(a, b): 1 for a, b in links if max(a, b) < 60}
+    listed |= {(a, b): 0 for a in {a for a, _ in links if a < 60} for b in range(50) if a != b and (a, b) not in links}
+    pairs = spark.createDataFrame([(a, b, y) for (a, b), y in listed.items()], "u long, v long, y int")
+    sc = evaluate.dot_scores(h, pairs).select(pairs.u.alias("query"), pairs.v.alias("cand"), "score", "y")
+    want = (*evaluate.mrr(sc).first(), evaluate.map_by_query(sc).first()["map"], evaluate.accuracy(sc).first()["accuracy"])
+    assert tuple(evaluate.link_measures(h, pos, cands).first()) == want
+    assert tuple(evaluate.link_measures(h, pos, cands, block=25, rows=60).first()) == want
+    assert tuple(evaluate.link_measures(h, pos.limit(0), cands).first()) == (0, None, None, None)
+
+
+def test_counts_ahead_equal_plain_comparison():
+    rng = np.random.default_rng(4)
+    c = rng.normal(size=(3000, 6)) * [3, 1, 1, 0.1, 0.1, 0.01]
+    c[2000:] = c[:1000]
+    ids = rng.permutation(3000)
+    k = rng.integers(0, 3000, 500)
+    q, plain = rng.normal(size=(500, 6)), np.zeros((500, 3000))
+    for dim in range(6):
+        plain = plain + q[:, dim, None] * c[None, :, dim]
+    s = plain[np.arange(500), k]
+    want = ((plain > s[:, None]) | ((plain == s[:, None]) & (ids[None] < ids[k][:, None]))).sum(axis=1)
+    assert (evaluate.ahead(q, s, ids[k], c, ids, size=64, chunk=100) == want).all()
+
+
+def test_every_vertex_with_a_new_link_is_a_query(spark):
+    from dyngraph.catalog.learning import _ranked
+
+    e = frame(spark, [(8, 16, 0), (16, 24, 0), (24, 32, 0), (8, 24, 1), (16, 32, 1)])
+    h = spark.createDataFrame([(8 * i, [float(i), 1.0]) for i in range(1, 5)], "vid long, x array<double>")
+    assert _ranked(e, h, 1).first()["queries"] == 4
+
+
 def test_hub_and_duplicates_make_one_edge_each(spark):
     ev = spark.createDataFrame([(1, 2, 3), (2, 1, 1), (1, 1, 0)] + [(0, i, 0) for i in range(3, 50)], "x long, y long, snap int")
     e = graphs.undirected(ev)
