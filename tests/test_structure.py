@@ -160,6 +160,41 @@ def test_every_vertex_with_a_new_link_is_a_query(spark):
     assert _ranked(e, h, 1).first()["queries"] == 4
 
 
+def _vectors(spark, tmp_path, x):
+    spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    x = x.astype(np.float32).astype(np.float64)
+    n, plain = np.sqrt((x * x).sum(axis=1)), np.zeros((len(x), len(x)))
+    for i in range(len(x)):
+        plain[i] = (x[i] * x).sum(axis=1) / (n[i] * n)
+        plain[i, i] = -2
+    return plain
+
+
+def test_nearest_vectors_tie_by_id_in_any_block(spark, tmp_path):
+    x = np.random.default_rng(6).normal(size=(120, 8))
+    x[20:70] = x[3]  # more copies than places, dealt over all blocks
+    plain = _vectors(spark, tmp_path, x)
+    want = sorted((i * 8 + 6, int(j) * 8 + 6) for i in range(120) for j in np.lexsort((np.arange(120), -plain[i]))[:3])
+    assert rows(graphs.vec(spark, str(tmp_path), block=50), "x", "y") == want
+
+
+def test_hashed_neighbours_list_no_pairs_and_equal_brute_force(spark, tmp_path):
+    from dyngraph.plans.explain import operators
+
+    x = np.random.default_rng(7).normal(size=(150, 8))
+    x[20:60] = x[3]
+    plain = _vectors(spark, tmp_path, x)
+    planes = np.random.default_rng(5).normal(size=(4, 2, 8))
+    side = np.einsum("tbw,nw->ntb", planes, x.astype(np.float32).astype(np.float64)) >= 0
+    met = (side[:, None] == side[None]).all(axis=3).any(axis=2)
+    plain[~met] = -2
+    order = [np.lexsort((np.arange(150), -plain[i]))[:3] for i in range(150)]
+    want = sorted((i * 8 + 6, int(j) * 8 + 6) for i in range(150) for j in order[i] if plain[i, j] > -2)
+    found = graphs.vec_hashed(spark, str(tmp_path), bits=2, tables=4, block=30)
+    assert rows(found, "x", "y") == want
+    assert "SortMergeJoin" not in operators(found)
+
+
 def test_hub_and_duplicates_make_one_edge_each(spark):
     ev = spark.createDataFrame([(1, 2, 3), (2, 1, 1), (1, 1, 0)] + [(0, i, 0) for i in range(3, 50)], "x long, y long, snap int")
     e = graphs.undirected(ev)
