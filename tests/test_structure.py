@@ -195,6 +195,21 @@ def test_hashed_neighbours_list_no_pairs_and_equal_brute_force(spark, tmp_path):
     assert "SortMergeJoin" not in operators(found)
 
 
+def test_sums_by_row_equal_add_at_to_the_last_bit():
+    rng = np.random.default_rng(8)
+    x, at = rng.normal(size=(900, 3)), rng.integers(0, 40, 900)
+    got, want = (rng.normal(size=(50, 3)),) * 2
+    got, want = got.copy(), want.copy()
+    trainer.add_at(got, at, x)
+    np.add.at(want, at, x)
+    assert (got == want).all()
+
+
+def test_runs_share_what_does_not_hang_on_the_model():
+    held, made = trainer.Held(), []
+    assert [trainer.once(held, ("a",), lambda: made.append(1) or len(made)) for _ in range(3)] == [1, 1, 1]
+
+
 def test_hub_and_duplicates_make_one_edge_each(spark):
     ev = spark.createDataFrame([(1, 2, 3), (2, 1, 1), (1, 1, 0)] + [(0, i, 0) for i in range(3, 50)], "x long, y long, snap int")
     e = graphs.undirected(ev)
