@@ -152,6 +152,37 @@ def test_counts_ahead_equal_plain_comparison():
     assert (evaluate.ahead(q, s, ids[k], c, ids, size=64, chunk=100) == want).all()
 
 
+def test_chosen_region_stops_growing_once_it_is_too_large(spark, monkeypatch):
+    e = frame(spark, [(8 * i, 8 * i + 8, 0) for i in range(1, 12)] + [(8, 40, 1)])
+    now = snapshots.at(e, 1)
+    hops, khop = [], region.khop
+    monkeypatch.setattr(region, "khop", lambda edges, start, k: hops.append(k) or khop(edges, start, k))
+    for above, taken in ((0.9, [0, 1, 1]), (0.4, [0, 1]), (0.1, [0])):
+        hops.clear()
+        found = {tuple(r) for r in region.chosen(e, 1, 2, above).select("vid", "hop").collect()}
+        assert hops == taken
+        want = khop(now, region.seeds(e, 1), 2) if above == 0.9 else graphs.vertices(now).selectExpr("vid", "0")
+        assert found == {tuple(r) for r in want.collect()}
+
+
+def test_counts_take_few_of_all_products():
+    met = []
+
+    class Counted(np.ndarray):
+        def __array_ufunc__(self, ufunc, method, *inputs, **named):
+            out = getattr(ufunc, method)(*(np.asarray(i) for i in inputs), **named)
+            met.append(out.size if ufunc is np.matmul else 0)
+            return out
+
+    c = np.random.default_rng(5).normal(size=(40_000, 4)) * [1, 1, 0.05, 0.01]
+    q, s, plain = c[:64], c[:64, 0] * 0.3, np.zeros((64, len(c)))
+    for dim in range(4):
+        plain = plain + q[:, dim, None] * c[None, :, dim]
+    n = evaluate.ahead(q.view(Counted), s, np.full(64, -1), c.view(Counted), np.arange(len(c)))
+    assert (n == (plain > s[:, None]).sum(axis=1)).all()
+    assert sum(met) - c.size - q.size < 0.1 * plain.size
+
+
 def test_every_vertex_with_a_new_link_is_a_query(spark):
     from dyngraph.catalog.learning import _ranked
 
